@@ -19,7 +19,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from canopy.llm.arrow import Shared, arrow_map
+from canopy.arrow import Shared, arrow_map
 from canopy.llm.features import hashed_ngrams, shape
 
 NGRAMS, META = 512, 256

@@ -21,7 +21,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from canopy.llm.arrow import Shared, arrow_map, text_bytes
+from canopy.arrow import Shared, arrow_map, parts
+from canopy.llm.columns import text_bytes
 from canopy.storage import stage
 
 ORDER, BITS = 4, 21
@@ -94,7 +95,7 @@ def count_grams(docs: DataFrame, text_col: str = "text") -> DataFrame:
             counts.clear()
 
         for batch in batches:
-            for text in batch.column(0).to_pylist():
+            for text in (t for part in parts(batch) for t in part.column(0).to_pylist()):
                 counts.update(text.split())
                 if len(counts) > WORDS:
                     count()

@@ -16,7 +16,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from canopy.llm.arrow import Shared, arrow_map
+from canopy.arrow import Shared, arrow_map
 from canopy.llm.features import hashed_ngrams
 
 DIMENSIONS, RIDGE = 2048, 1e-3

@@ -16,7 +16,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from canopy.llm.arrow import arrow_map
+from canopy.arrow import arrow_map
 from canopy.storage import fresh_path
 
 # fixed values: the base patterns, the group that is measured and its least length, in the order of kinds

@@ -23,7 +23,8 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from canopy.llm.arrow import arrow_map, text_bytes
+from canopy.arrow import arrow_map
+from canopy.llm.columns import text_bytes
 from canopy.llm.components import components
 from canopy.storage import stage
 

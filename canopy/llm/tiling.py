@@ -20,7 +20,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from canopy.llm.arrow import Shared, arrow_map
+from canopy.arrow import Shared, arrow_map
 from canopy.storage import stage
 
 SEED, COVERAGE, BLOCK = 5, 0.5, 2_000_000
