@@ -7,6 +7,7 @@ batch frame as well and gives the result over all of it, which is the oracle.
 
 from __future__ import annotations
 
+import json
 from collections.abc import Callable, Iterator
 
 import pandas as pd
@@ -120,4 +121,5 @@ def depth_first(tree: list[tuple[int, str]]) -> tuple[list[str], list[int]]:
 
 def rows_dropped(query: StreamingQuery) -> int:
     """Late rows that the query's stateful operators have dropped so far."""
-    return sum(op.get("numRowsDroppedByWatermark", 0) for p in query.recentProgress for op in p["stateOperators"])
+    progress = [p if isinstance(p, str) else p.json for p in query.recentProgress]
+    return sum(op.get("numRowsDroppedByWatermark", 0) for p in progress for op in json.loads(p)["stateOperators"])
