@@ -6,8 +6,8 @@ by Spark. N-gram hashes have ``BITS`` bits, so the model has a fixed largest
 size: ``ORDER`` sorted arrays of at most 2^BITS hashes with one probability
 and one back-off weight each.
 
-Each document gets a log-perplexity, drawn towards its language's median the
-shorter it is. A language's band reaches ``REACH`` interquartile ranges beyond
+Each document gets a log-perplexity per word, drawn towards its language's
+median the shorter it is. A language's band reaches ``REACH`` interquartile ranges beyond
 the quartiles on both sides; documents outside are rejected.
 """
 
@@ -26,10 +26,12 @@ from canopy.llm.columns import text_bytes
 from canopy.storage import stage
 
 ORDER, BITS = 4, 21
+#: From this order on, n-grams seen once are pruned: else a document of noise knows itself by heart.
+PRUNED = 2
 #: Distinct words that a counting task keeps before it hands on their n-grams.
 WORDS = 100_000
-#: Characters of evidence that the language's median counts as, and the band's reach.
-PRIOR, REACH = 400, 3.0
+#: Words of evidence that the language's median counts as, and the band's reach.
+PRIOR, REACH = 40, 2.5
 SYMBOLS = "#*$%&|<>"
 LEAST_WORDS, MOST_REPEATED = 10, 20
 MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
@@ -119,7 +121,7 @@ class Model:
     def __init__(self, table: dict[str, np.ndarray]):
         """``table``: columns m, gram, suffix, context, n of the counted n-grams."""
         self.gram, self.logp, self.context, self.back_off = [None], [None], [None], [None]
-        lower = None
+        lower = shorter = None
         for m in range(1, ORDER + 1):
             own = table["m"] == m
             order = np.argsort(table["gram"][own])
@@ -129,6 +131,8 @@ class Model:
                 at = np.minimum(np.searchsorted(before, gram), max(len(before) - 1, 0))
                 n = np.where(before[at] == gram, kinds[at], n) if len(before) else n
             discount = self.discounts(n)[np.minimum(n, 3)] if len(n) else np.zeros(0)
+            kept = n > 1 if m >= PRUNED else n > 0
+            discount = np.where(kept, discount, n)  # what is pruned leaves its whole mass to the back-off
             contexts, of = np.unique(context, return_inverse=True)
             total = np.bincount(of, weights=n, minlength=len(contexts))
             freed = np.bincount(of, weights=discount, minlength=len(contexts)) / np.maximum(total, 1)
@@ -136,10 +140,11 @@ class Model:
                 self.floor = -np.log(len(gram) + 1)
                 below = np.full(len(gram), np.exp(self.floor))
             else:
-                below = lower[np.minimum(np.searchsorted(self.gram[-1], suffix), max(len(lower) - 1, 0))] if len(suffix) else np.zeros(0)
+                below = lower[np.minimum(np.searchsorted(shorter, suffix), max(len(lower) - 1, 0))] if len(suffix) else np.zeros(0)
             lower = np.maximum(n - discount, 0) / np.maximum(total[of], 1) + freed[of] * below
-            self.gram.append(gram)
-            self.logp.append(np.log(np.maximum(lower, 1e-12)))
+            shorter = gram
+            self.gram.append(gram[kept])
+            self.logp.append(np.log(np.maximum(lower[kept], 1e-12)))
             self.context.append(contexts)
             self.back_off.append(np.log(np.maximum(freed, 1e-12)))
 
@@ -222,7 +227,7 @@ MEASURES = "doc_id long, lang string, n_words long, word_chars long, n_symbols l
 
 
 def measures(docs: DataFrame, model: Model) -> DataFrame:
-    """Base measures of every row, and its log-perplexity per character (null without words)."""
+    """Base measures of every row, and its log-perplexity per word (null without words)."""
     shared = Shared(docs.sparkSession, model)
 
     def make():
@@ -238,7 +243,7 @@ def measures(docs: DataFrame, model: Model) -> DataFrame:
             for doc_id, lang, text, words in zip(ids, langs, texts, split):
                 base = base_measures(text, words)
                 logp = sum(map(known.__getitem__, words))
-                yield (doc_id, lang, len(words), *base, -logp / (base[0] + len(words)) if words else None)
+                yield (doc_id, lang, len(words), *base, -logp / len(words) if words else None)
 
         return step
 
@@ -260,8 +265,7 @@ def judge(docs: DataFrame, model: Model | None = None, reach: float = REACH) ->
     judged one by one; extra columns are ignored; empty input gives no row.
     """
     measured = stage(measures(docs, model or train(docs)), "measures")
-    chars = F.col("word_chars") + F.col("n_words")
-    shrunk = (F.col("log_perplexity") * chars + F.col("mid") * PRIOR) / (chars + PRIOR)
+    shrunk = (F.col("log_perplexity") * F.col("n_words") + F.col("mid") * PRIOR) / (F.col("n_words") + PRIOR)
     bound = bands(measured, reach).withColumnRenamed("lang", "band_lang")
     failed = (F.col("n_words") < LEAST_WORDS) | (100 * F.col("n_repeat_words") > MOST_REPEATED * F.col("n_words"))
     return (
