@@ -7,9 +7,9 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from canopy.pattern.canonical import canonicalise, code, is_canonical
+from canopy.pattern.canonical import canonical_form, code, is_canonical
 from canopy.pattern.codec import parse, show
-from canopy.pattern.morph import embeds, root_images
+from canopy.pattern.morph import embeds, find_root_images
 
 
 @F.pandas_udf(T.IntegerType())
@@ -51,7 +51,7 @@ def p_code(text: pd.Series) -> pd.Series:
 @F.pandas_udf(T.StringType())
 def p_prefix(text: pd.Series) -> pd.Series:
     """The immediate prefix of the canonical form; null for a single node."""
-    return text.map(lambda t: show(p.prefix()) if (p := canonicalise(parse(t))).size > 1 else None)
+    return text.map(lambda t: show(p.prefix()) if (p := canonical_form(parse(t))).size > 1 else None)
 
 
 @F.pandas_udf(T.BooleanType())
@@ -66,7 +66,7 @@ def p_embeds(small: pd.Series, large: pd.Series) -> pd.Series:
 
 @F.pandas_udf(T.ArrayType(T.IntegerType()))
 def p_root_images(small: pd.Series, large: pd.Series) -> pd.Series:
-    return pd.Series([sorted(root_images(parse(p), parse(q))) for p, q in zip(small, large)], dtype=object)
+    return pd.Series([sorted(find_root_images(parse(p), parse(q))) for p, q in zip(small, large)], dtype=object)
 
 
 def label_multiset(labels: Column) -> Column:

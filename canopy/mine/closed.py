@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from canopy.arrow import arrow_map
 from canopy.mine.engine import Mined, Search
 from canopy.pattern.model import Pattern
-from canopy.pattern.morph import root_images
+from canopy.pattern.morph import find_root_images, root_images
 
 #: Blocked pairs beyond which containment is tested on the executors.
 DRIVER_PAIRS = 50_000
@@ -40,7 +40,7 @@ def contained(search: Search, pairs: list[tuple[Mined, Mined]]) -> list[tuple[Mi
     def make():
         def step(p: list, q: list, pl: list, pp: list, ql: list, qp: list):
             for a, b, *shape in zip(p, q, pl, pp, ql, qp):
-                got = root_images(Pattern(tuple(shape[0]), tuple(shape[1])), Pattern(tuple(shape[2]), tuple(shape[3])))
+                got = find_root_images(Pattern(tuple(shape[0]), tuple(shape[1])), Pattern(tuple(shape[2]), tuple(shape[3])))
                 if got:
                     yield a, b, sorted(got)
 

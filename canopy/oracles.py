@@ -63,11 +63,11 @@ def small_patterns(minsup: int, roots: tuple[str, ...] | None = None) -> str:
 
     ``cover(p, n, q)``: images of p's root at an inner node of the frequent q.
     """
-    top = f"al IN ({', '.join(repr(r) for r in roots)})" if roots else "TRUE"
+    inside = f" IN ({', '.join(repr(r) for r in roots)})" if roots else " IS NOT NULL"
     return f"""
-    two AS (SELECT al || '(' || dl || ')' AS code, 2 AS k, count(DISTINCT (t, a)) AS support FROM pairs WHERE {top} GROUP BY al, dl HAVING count(DISTINCT (t, a)) >= {minsup}),
-    chain AS (SELECT p.al x, p.dl y, q.dl z, p.t, p.a, p.d FROM pairs p JOIN pairs q ON p.t = q.t AND p.d = q.a WHERE p.{top}),
-    fork AS (SELECT p.al x, p.dl y, q.dl z, p.t, p.a FROM pairs p JOIN pairs q ON p.t = q.t AND p.a = q.a AND p.dl <= q.dl AND (p.de < q.d OR q.de < p.d) WHERE p.{top}),
+    two AS (SELECT al || '(' || dl || ')' AS code, 2 AS k, count(DISTINCT (t, a)) AS support FROM pairs WHERE al{inside} GROUP BY al, dl HAVING count(DISTINCT (t, a)) >= {minsup}),
+    chain AS (SELECT p.al x, p.dl y, q.dl z, p.t, p.a, p.d FROM pairs p JOIN pairs q ON p.t = q.t AND p.d = q.a WHERE p.al{inside}),
+    fork AS (SELECT p.al x, p.dl y, q.dl z, p.t, p.a FROM pairs p JOIN pairs q ON p.t = q.t AND p.a = q.a AND p.dl <= q.dl AND (p.de < q.d OR q.de < p.d) WHERE p.al{inside}),
     three AS (
       SELECT x || '(' || y || '(' || z || '))' AS code, 3 AS k, count(DISTINCT (t, a)) AS support, x, y, z, 'chain' AS shape, count(DISTINCT (t, d)) AS inner_roots FROM chain GROUP BY x, y, z HAVING count(DISTINCT (t, a)) >= {minsup}
       UNION ALL

@@ -10,6 +10,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from functools import lru_cache
 
+from canopy.pattern.codec import show
 from canopy.pattern.model import Pattern, Tree, nested
 
 #: Of labels: code points, which is the order of their UTF-8 bytes.
@@ -35,17 +36,18 @@ def ordered(t: Tree, rank: Rank) -> Tree:
     return Tree(t.label, tuple(sorted((ordered(c, rank) for c in t.children), key=lambda c: key(c, rank))))
 
 
-@lru_cache(1 << 16)
-def canonicalise(p: Pattern, rank: Rank = identity) -> Pattern:
+def canonical_form(p: Pattern, rank: Rank = identity) -> Pattern:
+    """Without a cache: Python workers get functions by value, which a cache cannot be."""
     return ordered(nested(p), rank).pattern()
 
 
+canonicalise = lru_cache(1 << 16)(canonical_form)
+
+
 def is_canonical(p: Pattern, rank: Rank = identity) -> bool:
-    return canonicalise(p, rank) == p
+    return canonical_form(p, rank) == p
 
 
 def code(p: Pattern) -> str:
     """Canonical text in label order; equal for equal unordered patterns."""
-    from canopy.pattern.codec import show
-
-    return show(canonicalise(p))
+    return show(canonical_form(p))

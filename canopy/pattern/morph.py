@@ -7,7 +7,7 @@ from collections.abc import Iterator
 from functools import lru_cache
 from itertools import combinations
 
-from canopy.pattern.canonical import canonicalise
+from canopy.pattern.canonical import canonical_form
 from canopy.pattern.model import Pattern, Tree, nested
 
 
@@ -42,16 +42,18 @@ def maps(p: Pattern, q: Pattern, kind: str = "emb", root: int | None = None) ->
     yield from place(0)
 
 
-@lru_cache(1 << 18)
-def root_images(p: Pattern, q: Pattern, kind: str = "emb") -> frozenset[int]:
+def find_root_images(p: Pattern, q: Pattern, kind: str = "emb") -> frozenset[int]:
     """Nodes of q that the root of p can be mapped to."""
     if p.size > q.size or Counter(p.labels) - Counter(q.labels):
         return frozenset()
     return frozenset(n for n, x in enumerate(q.labels) if x == p.labels[0] and next(maps(p, q, kind, n), None) is not None)
 
 
+root_images = lru_cache(1 << 18)(find_root_images)
+
+
 def embeds(p: Pattern, q: Pattern) -> bool:
-    return bool(root_images(p, q))
+    return bool(find_root_images(p, q))
 
 
 def iso_sub(p: Pattern, q: Pattern, root: bool = False) -> bool:
@@ -78,7 +80,7 @@ def one_smaller(p: Pattern, keep_root: bool = False) -> set[Pattern]:
         next(steps)
     for instead in steps:
         if len(instead) == 1:
-            out.add(canonicalise(instead[0].pattern()))
+            out.add(canonical_form(instead[0].pattern()))
     return out
 
 
@@ -98,6 +100,6 @@ def one_larger(p: Pattern, labels: list[str]) -> set[Pattern]:
 
     top = nested(p)
     for label in labels:
-        out.add(canonicalise(Tree(label, (top,)).pattern()))
-        out.update(canonicalise(g.pattern()) for g in grown(top, label))
+        out.add(canonical_form(Tree(label, (top,)).pattern()))
+        out.update(canonical_form(g.pattern()) for g in grown(top, label))
     return out

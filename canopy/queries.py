@@ -497,7 +497,7 @@ def nav(spark, d, label: str = "type") -> DataFrame:
 @query("pruning_rules_star")
 def pruning_rules_star(spark, d):
     """Counters of the pruned miner under each rule, and what it loses or adds against the definition."""
-    nodes, minsup = star(spark, d), order_minsup(spark, d, 60)
+    nodes, minsup = star(spark, d), order_minsup(spark, d, 72)
     truth = miners.mine_postfilter(nodes, minsup, roots=set(STAR_ROOTS)).codes("closed")
     rows = []
     for rule in surrogate.RULES:
@@ -511,7 +511,7 @@ def pruning_rules_star(spark, d):
 def counters_nav(spark, d):
     """Counters of the closed miners on a full run over navigation trees."""
     nodes = nav(spark, d)
-    n = max(2, nodes.where("level = 0").count() * 95 // 100)
+    n = max(2, nodes.where("level = 0").count() * 60 // 100)
     runs = [(f"nav-{m.__name__}", m(nodes, n, max_size=4)) for m in (miners.mine_postfilter, miners.mine_eager, miners.mine_pruned)]
     return miners.counters_frame(spark, runs).drop("seconds", "closed_seconds")
 
