@@ -50,17 +50,17 @@ def encode_edges(edges: DataFrame, id: str = "id", parent: str = "parent", label
     return number(everything.select("tree_id", "label", "path"))
 
 
-def preorder(rows: DataFrame, keys: list[str]) -> DataFrame:
-    """Adds ``rank``: the row's place in its tree, in the order of ``keys``, from 0.
+def preorder(rows: DataFrame, keys: list[str], group: str = "tree_id") -> DataFrame:
+    """Adds ``rank``: the row's place in its group (a tree), in the order of ``keys``, from 0.
 
     A distributed rank: rows are range-partitioned by the keys and numbered
     inside their partition; the number of rows in the partitions before is
-    added. No window spans more than one partition, however large a tree.
+    added. No window spans more than one partition, however large a group.
     """
     spark = rows.sparkSession
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    dealt = rows.repartitionByRange(parts, "tree_id", *keys).withColumn("part", F.spark_partition_id())
-    local = stage(dealt.withColumn("place", F.row_number().over(Window.partitionBy("part").orderBy("tree_id", *keys))), "ranked")
+    dealt = rows.repartitionByRange(parts, group, *keys).withColumn("part", F.spark_partition_id())
+    local = stage(dealt.withColumn("place", F.row_number().over(Window.partitionBy("part").orderBy(group, *keys))), "ranked")
     counts = {r["part"]: r["n"] for r in local.groupBy("part").agg(F.count(F.lit(1)).alias("n")).collect()}  # one number for each partition
     total, offsets = 0, []
     for part in range(max(counts, default=-1) + 1):
@@ -68,8 +68,8 @@ def preorder(rows: DataFrame, keys: list[str]) -> DataFrame:
         total += counts.get(part, 0)
     base = F.element_at(F.array(*map(F.lit, offsets)), F.col("part") + 1) if offsets else F.lit(0)
     numbered = local.withColumn("place", (F.col("place") - 1 + base).cast("long"))
-    first = numbered.groupBy("tree_id").agg(F.min("place").alias("first"))
-    return numbered.join(first, "tree_id").withColumn("rank", F.col("place") - F.col("first")).drop("part", "place", "first")
+    first = numbered.groupBy(group).agg(F.min("place").alias("first"))
+    return numbered.join(first, group).withColumn("rank", F.col("place") - F.col("first")).drop("part", "place", "first")
 
 
 def number(paths: DataFrame) -> DataFrame:

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from canopy.forest.encode import preorder
+
 
 def label_ids(nodes: DataFrame) -> DataFrame:
     """``(label, label_id)``: ids from 0 in label order; the dictionary holds one row for each label."""
@@ -14,14 +16,10 @@ def label_ids(nodes: DataFrame) -> DataFrame:
 def build(nodes: DataFrame) -> DataFrame:
     """``(label, tree_id, ord, begin, end, level)``; ``ord`` is the dense rank in the label's list, from 0.
 
-    A label may hold most nodes, so the rank inside a (label, tree) run is
-    taken by a window and the runs before it are added from their counts.
+    A label may hold most nodes, so the rank is a distributed one.
     """
-    counts = nodes.groupBy("label", "tree_id").agg(F.count(F.lit(1)).alias("n"))
-    before = counts.select("label", "tree_id", (F.sum("n").over(Window.partitionBy("label").orderBy("tree_id")) - F.col("n")).alias("before"))
-    own = F.row_number().over(Window.partitionBy("label", "tree_id").orderBy("begin")) - 1
-    ranked = nodes.select("label", "tree_id", "begin", "end", "level", own.alias("own"))
-    return ranked.join(before, ["label", "tree_id"]).select("label", "tree_id", (F.col("before") + F.col("own")).alias("ord"), "begin", "end", "level")
+    ranked = preorder(nodes.select("label", "tree_id", "begin", "end", "level"), ["tree_id", "begin"], group="label")
+    return ranked.select("label", "tree_id", F.col("rank").alias("ord"), "begin", "end", "level")
 
 
 def label_counts(nodes: DataFrame) -> DataFrame:

@@ -7,10 +7,12 @@ Parquet there. Such files outlive executors, unlike cached blocks.
 from __future__ import annotations
 
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
 _written: dict[str, list[str]] = {}
+_kept: dict[tuple, tuple] = {}
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -33,6 +35,24 @@ def stage(df: DataFrame, name: str = "stage", compression: str = "snappy") -> Da
     return spark.read.schema(df.schema).parquet(path)
 
 
+def changed_at(spark: SparkSession, path: str) -> int:
+    """When a file or folder was last changed."""
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(target).getModificationTime()
+
+
+def kept(spark: SparkSession, name: str, sources: list[str], make: Callable[[], DataFrame]) -> DataFrame:
+    """``make()`` as a written table, made once for an application and the same unchanged sources."""
+    key = (spark.sparkContext.applicationId, name, tuple((s, changed_at(spark, s)) for s in sources))
+    if key not in _kept:
+        df = make()
+        path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+        df.write.parquet(path)
+        _kept[key] = (path, df.schema)
+    path, schema = _kept[key]
+    return spark.read.schema(schema).parquet(path)
+
+
 def remove(spark: SparkSession, path: str) -> None:
     jvm = spark.sparkContext._jvm
     target = jvm.org.apache.hadoop.fs.Path(path)
@@ -40,7 +60,7 @@ def remove(spark: SparkSession, path: str) -> None:
 
 
 def clear(spark: SparkSession) -> int:
-    """Delete every folder this application has staged; call once results are out."""
+    """Delete every folder this application has staged; call once results are out. Kept tables stay."""
     paths = _written.pop(spark.sparkContext.applicationId, [])
     for path in paths:
         remove(spark, path)
