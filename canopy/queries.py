@@ -518,6 +518,19 @@ def counters_nav(spark, d):
     return miners.counters_frame(spark, runs).drop("seconds", "closed_seconds")
 
 
+SKELETON = ["html", "body", "nav", "ul", "article", "h1", "footer"]
+
+
+@query("counters_dom")
+def counters_dom(spark, d):
+    """Counters of the closed miners on the skeleton of pages, where containers are surrogates of their content."""
+    nodes = stage(sources.dom(spark, d, labels=SKELETON, dedupe_siblings=True), "dom")
+    n = -(-spark.read.parquet(f"{d}/pages.parquet").count() * 9 // 10)
+    kw = {"label_order": "depth"}
+    runs = [("dom", miners.mine_postfilter(nodes, n, **kw)), ("dom", miners.mine_eager(nodes, n, **kw)), *(("dom", miners.mine_pruned(nodes, n, rule=r, **kw)) for r in ("uniform", "filters"))]
+    return miners.counters_frame(spark, runs).drop("seconds", "closed_seconds")
+
+
 @query("witness_modes_dialogue")
 def witness_modes_dialogue(spark, d):
     nodes = stage(sources.dialogue(spark, d), "dialogue")
