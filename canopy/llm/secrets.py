@@ -112,7 +112,11 @@ def joined(found: str, kinds: tuple[str, ...] | list[str]) -> F.Column:
 
 def digest(scanned: DataFrame) -> DataFrame:
     """The columns of a scan report: counts and hash of the base kinds, and all spans."""
-    counts = [F.size(F.filter("found", lambda x, k=k: x["kind"] == k)).cast("long").alias(f"n_{kind}") for k, kind in enumerate(BASE)]
+
+    def of_kind(number: int):  # a lambda with a default would be given the element's place
+        return lambda x: x["kind"] == number
+
+    counts = [F.size(F.filter("found", of_kind(k))).cast("long").alias(f"n_{kind}") for k, kind in enumerate(BASE)]
     return scanned.select("doc_id", *counts, F.sha2(joined("found", BASE), 256).alias("base_sha256"), joined("found", list(RULES)).alias("spans"))
 
 
