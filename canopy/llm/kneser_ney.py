@@ -1,10 +1,15 @@
 """Quality rules with n-gram perplexity under modified Kneser-Ney smoothing.
 
 The n-grams are of characters, up to ``ORDER``, inside white-space words with a
-start and an end mark. Words are counted over the whole corpus, their n-grams
-by Spark. N-gram hashes have ``BITS`` bits, so the model has a fixed largest
-size: ``ORDER`` sorted arrays of at most 2^BITS hashes with one probability
-and one back-off weight each.
+start and an end mark. They have 64-bit hashes, and the model is a table with a
+row for every n-gram of the corpus: it grows with the input, and no part of it
+is broadcast or collected but the four counts of counts of each order.
+
+Documents are coded once, in blocks: a block holds the distinct words of some
+documents of one task, and each document its word numbers and counts. N-gram
+counts are sums over blocks. Every block then gets the probabilities of its own
+n-grams as a sorted array of hashes, in which its words are looked up, and its
+documents sum their words. So neither texts nor words are shuffled.
 
 Each document gets a log-perplexity per word, drawn towards its language's
 median the shorter it is. A language's band reaches ``REACH`` interquartile ranges beyond
@@ -13,23 +18,26 @@ the quartiles on both sides; documents outside are rejected.
 
 from __future__ import annotations
 
-from collections import Counter
+from collections import Counter, defaultdict
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
-from canopy.arrow import Shared, arrow_map, parts
+from canopy.arrow import ROWS, parts, to_batch
 from canopy.llm.columns import text_bytes
 from canopy.storage import stage
 
-ORDER, BITS = 4, 21
+ORDER = 4
 #: From this order on, n-grams seen once are pruned: else a document of noise knows itself by heart.
 PRUNED = 2
-#: Distinct words that a counting task keeps before it hands on their n-grams.
-WORDS = 100_000
+#: A block ends with the document that brings it over so many distinct words, bytes of coded documents or documents.
+WORDS, CODED, DOCUMENTS = 50_000, 1 << 24, 50_000
 #: Words of evidence that the language's median counts as, and the band's reach.
 PRIOR, REACH = 40, 2.5
 SYMBOLS = "#*$%&|<>"
@@ -58,8 +66,7 @@ def grams(words: list[bytes]) -> tuple[np.ndarray, list[tuple[np.ndarray, np.nda
         if m > 1:
             context = (context ^ before + np.uint64(m + 64)) * MULTIPLIER
             context ^= context >> np.uint64(29)
-        top = np.uint64(64 - BITS)
-        orders.append(((gram >> top).astype(np.int64)[predicted], (context >> top).astype(np.int64)[predicted], (place >= m - 1)[predicted]))
+        orders.append((gram.view(np.int64)[predicted], context.view(np.int64)[predicted], (place >= m - 1)[predicted]))
     return owner[predicted], orders
 
 
@@ -76,118 +83,6 @@ def in_parts(words: list[bytes], most: int = 300_000) -> Iterator[list[bytes]]:
         yield part
 
 
-def count_grams(docs: DataFrame, text_col: str = "text") -> DataFrame:
-    """Counts of all n-grams of the corpus: ``(m, gram, suffix, context, n)``."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts: Counter = Counter()
-        n = np.zeros((ORDER + 1, 1 << BITS), np.int64)
-        suffix, context = np.zeros(n.shape, np.int32), np.zeros(n.shape, np.int32)
-
-        def count() -> None:
-            for words in in_parts(list(counts)):
-                weight = np.array([counts[w] for w in words], np.int64)
-                owner, orders = grams(words)
-                for m, (gram, before, ok) in enumerate(orders, 1):
-                    key = gram[ok]
-                    np.add.at(n[m], key, weight[owner[ok]])
-                    context[m][key] = before[ok]
-                    if m > 1:
-                        suffix[m][key] = orders[m - 2][0][ok]
-            counts.clear()
-
-        for batch in batches:
-            for text in (t for part in parts(batch) for t in part.column(0).to_pylist()):
-                counts.update(text.split())
-                if len(counts) > WORDS:
-                    count()
-        count()
-        for m in range(1, ORDER + 1):
-            found = np.flatnonzero(n[m])
-            for k in range(0, len(found), 50_000):
-                at = found[k : k + 50_000]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.full(len(at), m, np.int32)), pa.array(at.astype(np.int32)), pa.array(suffix[m][at]), pa.array(context[m][at]), pa.array(n[m][at])],
-                    names=["m", "gram", "suffix", "context", "n"],
-                )
-
-    rows = docs.select(text_bytes(text_col)).mapInArrow(run, "m int, gram int, suffix int, context int, n long")
-    return rows.groupBy("m", "gram").agg(F.min("suffix").alias("suffix"), F.min("context").alias("context"), F.sum("n").alias("n"))
-
-
-class Model:
-    """Interpolated modified Kneser-Ney probabilities in sorted hash arrays."""
-
-    def __init__(self, table: dict[str, np.ndarray]):
-        """``table``: columns m, gram, suffix, context, n of the counted n-grams."""
-        self.gram, self.logp, self.context, self.back_off = [None], [None], [None], [None]
-        lower = shorter = None
-        for m in range(1, ORDER + 1):
-            own = table["m"] == m
-            order = np.argsort(table["gram"][own])
-            gram, suffix, context, n = (table[c][own][order].astype(np.int64) for c in ("gram", "suffix", "context", "n"))
-            if m < ORDER:  # distinct characters that stand before it; n-grams with the start mark have none
-                before, kinds = np.unique(table["suffix"][table["m"] == m + 1], return_counts=True)
-                at = np.minimum(np.searchsorted(before, gram), max(len(before) - 1, 0))
-                n = np.where(before[at] == gram, kinds[at], n) if len(before) else n
-            discount = self.discounts(n)[np.minimum(n, 3)] if len(n) else np.zeros(0)
-            kept = n > 1 if m >= PRUNED else n > 0
-            discount = np.where(kept, discount, n)  # what is pruned leaves its whole mass to the back-off
-            contexts, of = np.unique(context, return_inverse=True)
-            total = np.bincount(of, weights=n, minlength=len(contexts))
-            freed = np.bincount(of, weights=discount, minlength=len(contexts)) / np.maximum(total, 1)
-            if m == 1:
-                self.floor = -np.log(len(gram) + 1)
-                below = np.full(len(gram), np.exp(self.floor))
-            else:
-                below = lower[np.minimum(np.searchsorted(shorter, suffix), max(len(lower) - 1, 0))] if len(suffix) else np.zeros(0)
-            lower = np.maximum(n - discount, 0) / np.maximum(total[of], 1) + freed[of] * below
-            shorter = gram
-            self.gram.append(gram[kept])
-            self.logp.append(np.log(np.maximum(lower[kept], 1e-12)))
-            self.context.append(contexts)
-            self.back_off.append(np.log(np.maximum(freed, 1e-12)))
-
-    @staticmethod
-    def discounts(n: np.ndarray) -> np.ndarray:
-        """Of counts 0, 1, 2 and 3 or more, from the counts of counts."""
-        n1, n2, n3, n4 = (max(int((n == k).sum()), 1) for k in range(1, 5))
-        y = n1 / (n1 + 2 * n2)
-        return np.clip([0, 1 - 2 * y * n2 / n1, 2 - 3 * y * n3 / n2, 3 - 4 * y * n4 / n3], [0, 0.05, 0.05, 0.05], [0, 0.95, 1.9, 2.9])
-
-    def score(self, words: list[bytes]) -> np.ndarray:
-        """Log-probability of each word with its end mark."""
-        out = []
-        for part in in_parts(words):
-            owner, orders = grams(part)
-            logp, open_ = np.zeros(len(owner)), np.ones(len(owner), bool)
-            for m in range(ORDER, 0, -1):
-                gram, context, ok = orders[m - 1]
-                at = np.flatnonzero(ok & open_)
-                found, p = self.look_up(self.gram[m], self.logp[m], gram[at])
-                logp[at] += p
-                open_[at[found]] = False
-                at = at[~found]
-                logp[at] += self.look_up(self.context[m], self.back_off[m], context[at])[1]
-            logp[open_] += self.floor
-            out.append(np.bincount(owner, weights=logp, minlength=len(part)))
-        return np.concatenate(out) if out else np.zeros(0)
-
-    @staticmethod
-    def look_up(keys: np.ndarray, values: np.ndarray, wanted: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        if not len(keys):
-            return np.zeros(len(wanted), bool), np.zeros(len(wanted))
-        at = np.minimum(np.searchsorted(keys, wanted), len(keys) - 1)
-        found = keys[at] == wanted
-        return found, np.where(found, values[at], 0.0)
-
-
-def train(docs: DataFrame, text_col: str = "text") -> Model:
-    """The model of all documents; at most ORDER * 2^BITS rows reach the driver."""
-    table = count_grams(docs, text_col).toArrow()
-    return Model({c: table.column(c).to_numpy() for c in table.column_names})
-
-
 def repeated_words(words: list[bytes], size: int = 5) -> int:
     """Words in a window of ``size`` words that the text has twice or more."""
     n = len(words) - size + 1
@@ -223,31 +118,198 @@ def base_measures(text: bytes, words: list[bytes]) -> tuple[int, int, int, int]:
     return chars, sum(map(text.count, (s.encode() for s in SYMBOLS))), n_lines - len(lines), repeated_words(words)
 
 
-MEASURES = "doc_id long, lang string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, log_perplexity double"
+MEASURED = "doc_id long, lang string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long"
+MEASURES = f"{MEASURED}, log_perplexity double"
+GRAMS = ("m", "gram", "suffix", "context", "n", "whole")
+#: A row is a document (``body``) or a block (``words`` and its n-grams).
+CODED_ROWS = f"block long, {MEASURED}, body binary, words binary, m array<tinyint>, gram array<long>, suffix array<long>, context array<long>, n array<long>, whole array<boolean>"
+
+
+def pack(ids: np.ndarray, counts: np.ndarray) -> bytes:
+    """Word numbers and their counts, by planes of bytes, which compress well."""
+    order = np.argsort(ids)
+    both = np.stack([np.diff(ids[order], prepend=0), counts[order]]).astype("<u4")
+    return both.view(np.uint8).reshape(-1, 4).T.tobytes()
+
+
+def unpack(body: bytes) -> tuple[np.ndarray, np.ndarray]:
+    planes = np.frombuffer(body, np.uint8).reshape(4, -1)
+    gaps, counts = np.ascontiguousarray(planes.T).view("<u4").reshape(2, -1).astype(np.int64)
+    return np.cumsum(gaps), counts
+
+
+class Block:
+    """The distinct words of some documents, numbered as they come, with their counts."""
+
+    def __init__(self):
+        self.number: defaultdict[bytes, int] = defaultdict()
+        self.number.default_factory = self.number.__len__
+        self.counts, self.coded, self.documents = np.zeros(1024, np.int64), 0, 0
+
+    def add(self, words: list[bytes]) -> bytes:
+        tally = Counter(words)
+        ids = np.fromiter(map(self.number.__getitem__, tally), np.int64, len(tally))
+        counts = np.fromiter(tally.values(), np.int64, len(tally))
+        if len(self.number) > len(self.counts):
+            self.counts = np.concatenate([self.counts, np.zeros(2 * len(self.number) - len(self.counts), np.int64)])
+        self.counts[ids] += counts
+        body = pack(ids, counts)
+        self.coded += len(body)
+        self.documents += 1
+        return body
+
+    def full(self) -> bool:
+        return len(self.number) > WORDS or self.coded > CODED or self.documents >= DOCUMENTS
+
+    def grams(self) -> list[np.ndarray]:
+        """Distinct n-grams: order, hash, suffix's and context's hash, count, and whether one predicts with all that stands before."""
+        found, begin, words = [], 0, list(self.number)
+        for part in in_parts(words):
+            weight = self.counts[begin : begin + len(part)]
+            begin += len(part)
+            owner, orders = grams(part)
+            for m, (gram, context, ok) in enumerate(orders, 1):
+                longer = orders[m][2] if m < ORDER else np.zeros(len(ok), bool)
+                suffix = orders[m - 2][0] if m > 1 else np.zeros(len(ok), np.int64)
+                found.append(distinct(m, gram[ok], suffix[ok], context[ok], weight[owner[ok]], ~longer[ok]))
+        out = [[np.concatenate(c) for c in zip(*found[m - 1 :: ORDER])] for m in range(1, ORDER + 1)] if found else []
+        joined = [distinct(m, *columns[1:]) for m, columns in enumerate(out, 1)]
+        return [np.concatenate(c) for c in zip(*joined)] if joined else [np.zeros(0, np.int64)] * len(GRAMS)
+
+
+def distinct(m: int, gram: np.ndarray, suffix: np.ndarray, context: np.ndarray, n: np.ndarray, whole: np.ndarray) -> tuple[np.ndarray, ...]:
+    keys, first, of = np.unique(gram, return_index=True, return_inverse=True)
+    total = np.zeros(len(keys), np.int64)
+    np.add.at(total, of, n)
+    return np.full(len(keys), m, np.int8), keys, suffix[first], context[first], total, whole[first]
+
 
+def code(docs: DataFrame, text_col: str = "text") -> DataFrame:
+    """Base measures and coded words of every row, and a row for each block; not yet written.
 
-def measures(docs: DataFrame, model: Model) -> DataFrame:
-    """Base measures of every row, and its log-perplexity per word (null without words)."""
-    shared = Shared(docs.sparkSession, model)
+    A block is numbered by its task, so the rows hold together only once written.
+    """
+    fields = to_arrow_schema(StructType.fromDDL(CODED_ROWS))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        number, block, rows = TaskContext.get().partitionId() << 32, Block(), []
 
-    def make():
-        known: dict[bytes, float] = {}
+        def close() -> tuple:
+            words = b"\n".join(block.number)
+            return (number, *[None] * 8, words, *(a.tolist() if k == 5 else a for k, a in enumerate(block.grams())))
+
+        for batch in batches:
+            for part in parts(batch):
+                for doc_id, lang, text in zip(*(c.to_pylist() for c in part.columns)):
+                    words = text.split()
+                    rows.append((number, doc_id, lang, len(words), *base_measures(text, words), block.add(words), *[None] * 7))
+                    if block.full():
+                        rows.append(close())
+                        number, block = number + 1, Block()
+                    if len(rows) >= ROWS:
+                        yield to_batch(rows, fields)
+                        rows = []
+        if block.documents:
+            rows.append(close())
+        if rows:
+            yield to_batch(rows, fields)
 
-        def step(ids: list, langs: list, texts: list) -> Iterator[tuple]:
-            split = [t.split() for t in texts]
-            new = list(set().union(*split) - known.keys())
-            if len(known) + len(new) > 2 * WORDS:
-                known.clear()
-                new = list(set().union(*split))
-            known.update(zip(new, shared.value.score(new).tolist()))
-            for doc_id, lang, text, words in zip(ids, langs, texts, split):
-                base = base_measures(text, words)
-                logp = sum(map(known.__getitem__, words))
-                yield (doc_id, lang, len(words), *base, -logp / len(words) if words else None)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), text_bytes(text_col)).mapInArrow(run, CODED_ROWS)
 
-        return step
 
-    return arrow_map(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), text_bytes()), make, MEASURES)
+def block_grams(coded: DataFrame, *columns: str) -> DataFrame:
+    """One row for each block and n-gram."""
+    return coded.where("words IS NOT NULL").select("block", F.inline(F.arrays_zip(*columns)))
+
+
+def count_grams(coded: DataFrame) -> DataFrame:
+    """Counts of all n-grams of coded documents: ``(m, gram, suffix, context, n, whole)``."""
+    return block_grams(coded, *GRAMS).groupBy("m", "gram").agg(F.min("suffix").alias("suffix"), F.min("context").alias("context"), F.sum("n").alias("n"), F.max("whole").alias("whole"))
+
+
+def discounts(n1: int, n2: int, n3: int, n4: int) -> list[float]:
+    """Of counts 0, 1, 2 and 3 or more, from the counts of counts."""
+    n1, n2, n3, n4 = (max(n, 1) for n in (n1, n2, n3, n4))
+    y = n1 / (n1 + 2 * n2)
+    return [0.0, *(min(max(k + 1 - (k + 2) * y * b / a, 0.05), top) for k, (a, b, top) in enumerate(((n1, n2, 0.95), (n2, n3, 1.9), (n3, n4, 2.9))))]
+
+
+def train(counted: DataFrame) -> DataFrame:
+    """Interpolated probabilities ``(m, gram, logp)`` of the n-grams that predict with all that stands before.
+
+    ``counted`` is a written table of ``count_grams``. Rows of count 0 are
+    n-grams that are to be judged but were not in the corpus.
+    """
+    # below the highest order, the distinct characters that stand before it; n-grams with the start mark have none
+    kinds = counted.where("m > 1 AND n > 0").groupBy((F.col("m") - 1).cast("tinyint").alias("m"), F.col("suffix").alias("gram")).agg(F.count(F.lit(1)).alias("kinds"))
+    adjusted = stage(counted.join(kinds, ["m", "gram"], "left").withColumn("n", F.coalesce("kinds", "n")).drop("kinds"), "adjusted")
+    of_counts = adjusted.groupBy("m").agg(*(F.count_if(F.col("n") == k).alias(f"n{k}") for k in range(1, 5)), F.count_if(F.col("n") > 0).alias("seen")).collect()
+    by_order = F.create_map(*(x for r in of_counts for x in (F.lit(r["m"]), F.array(*map(F.lit, discounts(*(r[f"n{k}"] for k in range(1, 5)))))))) if of_counts else F.lit(None).cast("map<tinyint,array<double>>")
+    floor = 1 / (next((r["seen"] for r in of_counts if r["m"] == 1), 0) + 1)
+    # what is pruned leaves its whole mass to the back-off
+    taken = F.when((F.col("m") >= PRUNED) & (F.col("n") <= 1), F.col("n")).otherwise(F.element_at(by_order, F.col("m").cast("tinyint"))[F.least("n", F.lit(3)).cast("int")])
+    priced = adjusted.withColumn("taken", taken.cast("double"))
+    contexts = priced.groupBy("m", "context").agg(F.sum("n").alias("total"), F.sum("taken").alias("freed"))
+    shares = stage(
+        priced.join(contexts, ["m", "context"]).select(
+            "m", "gram", "suffix", "whole",
+            F.when(F.col("total") > 0, F.greatest(F.col("n") - F.col("taken"), F.lit(0.0)) / F.col("total")).otherwise(0.0).alias("own"),
+            F.when(F.col("total") > 0, F.col("freed") / F.col("total")).otherwise(1.0).alias("back_off"),
+        ),
+        "shares",
+    )
+    lower, model = None, None
+    for m in range(1, ORDER + 1):
+        order = shares.where(F.col("m") == m)
+        if lower is None:
+            order = order.withColumn("below", F.lit(floor))
+        else:
+            order = order.join(lower.select(F.col("gram").alias("suffix"), F.col("p").alias("below")), "suffix")
+        lower = stage(order.select("m", "gram", "whole", (F.col("own") + F.col("back_off") * F.col("below")).alias("p")), "probabilities")
+        chosen = lower.where("whole").select("m", "gram", F.log(F.greatest("p", F.lit(1e-300))).alias("logp"))
+        model = chosen if model is None else model.union(chosen)
+    return model
+
+
+def word_scores(words: list[bytes], hashes: np.ndarray, logp: np.ndarray) -> np.ndarray:
+    """Log-probability of each word with its end mark; ``hashes`` are sorted and hold all their n-grams."""
+    out = []
+    for part in in_parts(words):
+        owner, orders = grams(part)
+        key = orders[0][0]
+        for gram, _, ok in orders[1:]:
+            key = np.where(ok, gram, key)
+        out.append(np.bincount(owner, weights=logp[np.searchsorted(hashes, key)], minlength=len(part)))
+    return np.concatenate(out) if out else np.zeros(0)
+
+
+def measures(docs: DataFrame, reference: DataFrame | None = None) -> DataFrame:
+    """Base measures of every row, and its log-perplexity per word (null without words).
+
+    The model is that of ``reference``, or of the documents themselves.
+    """
+    coded = stage(code(docs), "coded", "zstd")
+    counted = count_grams(coded)
+    if reference is not None:
+        corpus = count_grams(stage(code(reference), "coded", "zstd"))
+        counted = corpus.union(counted.withColumn("n", F.lit(0).cast("long"))).groupBy("m", "gram").agg(*(f(c).alias(c) for f, c in ((F.min, "suffix"), (F.min, "context"), (F.sum, "n"), (F.max, "whole"))))
+    model = train(stage(counted, "ngrams"))
+    known = block_grams(coded, "m", "gram", "whole").where("whole").join(model, ["m", "gram"]).groupBy("block").agg(F.array_sort(F.collect_list(F.struct("gram", "logp"))).alias("known"))
+    blocks = coded.where("words IS NOT NULL").select("block", "words").join(known, "block", "left")
+    fields = to_arrow_schema(StructType.fromDDL(MEASURES))
+
+    def score(rows: pa.Table, block: pa.Table) -> pa.Table:
+        words = block.column("words")[0].as_py().split(b"\n") if block.num_rows else []
+        found = block.column("known").combine_chunks().flatten()
+        each = word_scores([w for w in words if w], found.field("gram").to_numpy(), found.field("logp").to_numpy())
+        logp = []
+        for body in rows.column("body").to_pylist():
+            ids, counts = unpack(body)
+            logp.append(-float(each[ids] @ counts) / int(counts.sum()) if len(ids) else None)
+        return pa.table([*(rows.column(f.name) for f in list(fields)[:-1]), pa.array(logp, pa.float64())], schema=fields)
+
+    rows = coded.where("body IS NOT NULL").drop("words", *GRAMS).withColumnRenamed("block", "in_block")
+    return rows.groupBy("in_block").cogroup(blocks.groupBy("block")).applyInArrow(score, MEASURES)
 
 
 def bands(measured: DataFrame, reach: float = REACH) -> DataFrame:
@@ -257,14 +319,14 @@ def bands(measured: DataFrame, reach: float = REACH) -> DataFrame:
     return quarters.select("lang", F.col("q")[1].alias("mid"), (F.col("q")[0] - margin).alias("low"), (F.col("q")[2] + margin).alias("high"))
 
 
-def judge(docs: DataFrame, model: Model | None = None, reach: float = REACH) -> DataFrame:
-    """Base measures, perplexity, band and verdict of every row.
+def judge(docs: DataFrame, reference: DataFrame | None = None, reach: float = REACH) -> DataFrame:
+    """Base measures, perplexity under the model of ``reference`` or ``docs``, band and verdict of every row.
 
     A null text has no words and fails the base rules, like an empty one. A
     null language is a language of its own. Rows that repeat a doc_id are
     judged one by one; extra columns are ignored; empty input gives no row.
     """
-    measured = stage(measures(docs, model or train(docs)), "measures")
+    measured = stage(measures(docs, reference), "measures")
     shrunk = (F.col("log_perplexity") * F.col("n_words") + F.col("mid") * PRIOR) / (F.col("n_words") + PRIOR)
     bound = bands(measured, reach).withColumnRenamed("lang", "band_lang")
     failed = (F.col("n_words") < LEAST_WORDS) | (100 * F.col("n_repeat_words") > MOST_REPEATED * F.col("n_words"))

@@ -5,6 +5,7 @@ import numpy as np
 
 from canopy.llm import cotraining, features, kneser_ney
 from tests.conftest import SF
+from tests.llm import kneser_ney_reference
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, n_words string"
 
@@ -44,7 +45,7 @@ def test_empty_table(spark):
 
 def test_probabilities_sum_to_one(spark):
     texts = ["the cat sat on the mat", "the hat on the cat", "a mat"]
-    model = kneser_ney.train(spark.createDataFrame([(t,) for t in texts], "text string"))
+    model = kneser_ney_reference.train(spark.createDataFrame([(1, None, t) for t in texts], "doc_id long, lang string, text string"))
     # after any context, the probabilities of all characters (with an unseen one) sum to one
     alphabet = sorted(set("".join(texts)) - {" "})
     for stem in ("", "t", "th", "ca", "zz"):
@@ -82,7 +83,7 @@ def position_scores(model, word):
 
 
 def test_scores_are_sums_of_positions(spark):
-    model = kneser_ney.train(spark.read.parquet(f"{SF}/documents.parquet"))
+    model = kneser_ney_reference.train(spark.read.parquet(f"{SF}/documents.parquet"))
     words = [b"the", b"zqx", "\u00e9t\u00e9".encode(), b"The,", b"x" * 40]
     assert np.allclose(model.score(words), [sum(position_scores(model, w)) for w in words])
     assert all((np.diff(g) > 0).all() for g in model.gram[1:])
@@ -90,11 +91,35 @@ def test_scores_are_sums_of_positions(spark):
 
 def test_counts_do_not_depend_on_partitions(spark):
     docs = spark.read.parquet(f"{SF}/documents.parquet")
-    one = kneser_ney.count_grams(docs.coalesce(1)).select("m", "gram", "n")
-    many = kneser_ney.count_grams(docs.repartition(7)).select("m", "gram", "n")
+    one = kneser_ney.count_grams(kneser_ney.code(docs.coalesce(1))).select("m", "gram", "n")
+    many = kneser_ney.count_grams(kneser_ney.code(docs.repartition(7))).select("m", "gram", "n")
     assert one.exceptAll(many).isEmpty() and many.exceptAll(one).isEmpty()
 
 
+def test_scores_are_those_of_the_model_in_one_process(spark, monkeypatch):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").repartition(3)
+    odd = spark.createDataFrame([(5000 + k, t, None, "s", 1, "x") for k, t in enumerate([*ODD, "\u00df \U0001f600\U0001f600 zz9zz"])], DOCS)
+    docs = docs.unionByName(odd, allowMissingColumns=True)
+    learned, other = docs.where("doc_id % 2 = 0"), docs.where("doc_id % 2 = 1")
+    for scored, reference in ((docs, None), (other, learned)):
+        model = kneser_ney_reference.train(docs if reference is None else reference)
+        got = {r["doc_id"]: r["log_perplexity"] for r in kneser_ney.measures(scored, reference).collect()}
+        for r in scored.collect():
+            words = (r["text"] or "").encode().split()
+            want = -model.score(words).mean() if words else None
+            assert got[r["doc_id"]] == want or np.isclose(got[r["doc_id"]], want), r["doc_id"]
+
+
+def test_blocks_end_where_they_are_full():
+    block, texts = kneser_ney.Block(), [[b"a", b"b", b"a"], [], [b"c", b"a"], [b"%d" % k for k in range(70_000)]]
+    bodies = [block.add(t) for t in texts]
+    assert block.full() and block.counts[:3].tolist() == [3, 1, 1]
+    names = list(block.number)
+    for t, body in zip(texts, bodies):
+        ids, counts = kneser_ney.unpack(body)
+        assert sorted(t) == sorted(w for k, n in zip(ids, counts) for w in [names[k]] * n)
+
+
 def test_gibberish_is_out_of_band(spark):
     docs = spark.read.parquet(f"{SF}/documents.parquet")
     rng = np.random.default_rng(1)
