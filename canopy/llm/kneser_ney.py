@@ -1,15 +1,17 @@
 """Quality rules with n-gram perplexity under modified Kneser-Ney smoothing.
 
 The n-grams are of characters, up to ``ORDER``, inside white-space words with a
-start and an end mark. They have 64-bit hashes, and the model is a table with a
-row for every n-gram of the corpus: it grows with the input, and no part of it
-is broadcast or collected but the four counts of counts of each order.
+start and an end mark. The model is a table with a row for every n-gram of the
+corpus: it grows with the input, and no part of it is broadcast or collected
+but the four counts of counts of each order.
 
 Documents are coded once, in blocks: a block holds the distinct words of some
-documents of one task, and each document its word numbers and counts. N-gram
-counts are sums over blocks. Every block then gets the probabilities of its own
-n-grams as a sorted array of hashes, in which its words are looked up, and its
-documents sum their words. So neither texts nor words are shuffled.
+documents of one task, and each document its word numbers and counts. Only the
+n-gram that predicts a character with all that may stand before is counted, as
+sums over blocks; modified counts of lower orders follow from the distinct ones
+above. Every block then gets the probabilities of its own n-grams as an array
+in the order of their sorted 64-bit hashes, in which its words are looked up,
+and its documents sum their words. So texts are never shuffled.
 
 Each document gets a log-perplexity per word, drawn towards its language's
 median the shorter it is. A language's band reaches ``REACH`` interquartile ranges beyond
@@ -37,7 +39,9 @@ ORDER = 4
 #: From this order on, n-grams seen once are pruned: else a document of noise knows itself by heart.
 PRUNED = 2
 #: A block ends with the document that brings it over so many distinct words, bytes of coded documents or documents.
-WORDS, CODED, DOCUMENTS = 50_000, 1 << 24, 50_000
+WORDS, CODED, DOCUMENTS = 500_000, 1 << 25, 100_000
+# fixed values: no word holds these
+START, END = " ", "\n"
 #: Words of evidence that the language's median counts as, and the band's reach.
 PRIOR, REACH = 40, 2.5
 SYMBOLS = "#*$%&|<>"
@@ -45,32 +49,27 @@ LEAST_WORDS, MOST_REPEATED = 10, 20
 MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
 
 
-def grams(words: list[bytes]) -> tuple[np.ndarray, list[tuple[np.ndarray, np.ndarray, np.ndarray]]]:
-    """For every predicted character of all words: the index of its word, and
-    for each order the n-gram's hash, its context's hash and whether it exists.
+def keys(words: list[bytes]) -> tuple[str, np.ndarray, np.ndarray, np.ndarray]:
+    """All words with marks in one string; for every character after a start mark
+    its word, the hash of the n-gram that ends there and the n-gram's length.
 
-    A word is start mark, its code points, end mark; the start is not predicted.
+    The n-gram has ``ORDER`` characters, or fewer where the word starts.
     """
     texts = [w.decode("utf-8", "replace") for w in words]
-    length = np.array([len(t) + 2 for t in texts], np.int64)
-    codes = np.frombuffer("".join(f"\x02{t}\x03" for t in texts).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+    length = np.fromiter(map(len, texts), np.int64, len(texts)) + 2
+    marked = "".join(f"{START}{t}{END}" for t in texts)
+    codes = np.frombuffer(marked.encode("utf-32-le"), np.uint32).astype(np.uint64)
     owner = np.repeat(np.arange(len(texts)), length)
     place = np.arange(len(codes)) - np.repeat(np.cumsum(length) - length, length)
-    predicted = place > 0
-    gram = context = np.zeros(len(codes), np.uint64)
-    orders = []
-    for m in range(1, ORDER + 1):  # what stands m-1 characters before is mixed in last: a shorter n-gram is the suffix
-        before = np.concatenate([np.zeros(m - 1, np.uint64), codes[: max(len(codes) - m + 1, 0)]])[: len(codes)]
-        gram = (gram ^ before + np.uint64(m)) * MULTIPLIER
-        gram ^= gram >> np.uint64(29)
-        if m > 1:
-            context = (context ^ before + np.uint64(m + 64)) * MULTIPLIER
-            context ^= context >> np.uint64(29)
-        orders.append((gram.view(np.int64)[predicted], context.view(np.int64)[predicted], (place >= m - 1)[predicted]))
-    return owner[predicted], orders
-
-
-def in_parts(words: list[bytes], most: int = 300_000) -> Iterator[list[bytes]]:
+    key = np.zeros(len(codes), np.uint64)
+    for k in range(ORDER):
+        before = np.concatenate([np.zeros(k, np.uint64), codes[: max(len(codes) - k, 0)]])[: len(codes)]
+        mixed = (key ^ before + np.uint64(k + 1)) * MULTIPLIER
+        key = np.where(place >= k, mixed ^ mixed >> np.uint64(29), key)
+    return marked, owner, key, np.minimum(place + 1, ORDER)
+
+
+def in_parts(words: list[bytes], most: int = 1_000_000) -> Iterator[list[bytes]]:
     """Lists of words of about ``most`` bytes in all."""
     part, size = [], 0
     for w in words:
@@ -120,22 +119,29 @@ def base_measures(text: bytes, words: list[bytes]) -> tuple[int, int, int, int]:
 
 MEASURED = "doc_id long, lang string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long"
 MEASURES = f"{MEASURED}, log_perplexity double"
-GRAMS = ("m", "gram", "suffix", "context", "n", "whole")
-#: A row is a document (``body``) or a block (``words`` and its n-grams).
-CODED_ROWS = f"block long, {MEASURED}, body binary, words binary, m array<tinyint>, gram array<long>, suffix array<long>, context array<long>, n array<long>, whole array<boolean>"
+#: A row is a document (``body``) or a block (``words`` and its n-grams by sorted hash).
+CODED_ROWS = f"block long, {MEASURED}, body binary, words binary, gram array<string>, n array<long>"
 
 
 def pack(ids: np.ndarray, counts: np.ndarray) -> bytes:
-    """Word numbers and their counts, by planes of bytes, which compress well."""
+    """Word numbers and their counts, by planes of as many bytes as they need."""
     order = np.argsort(ids)
-    both = np.stack([np.diff(ids[order], prepend=0), counts[order]]).astype("<u4")
-    return both.view(np.uint8).reshape(-1, 4).T.tobytes()
+    out = [b"", b""]
+    for k, values in enumerate((np.diff(ids[order], prepend=0), counts[order])):
+        planes = (int(values.max(initial=0)).bit_length() + 7) // 8
+        out[k] = bytes([planes]) + values.astype("<i8").view(np.uint8).reshape(-1, 8)[:, :planes].T.tobytes()
+    return len(ids).to_bytes(4, "little") + out[0] + out[1]
 
 
 def unpack(body: bytes) -> tuple[np.ndarray, np.ndarray]:
-    planes = np.frombuffer(body, np.uint8).reshape(4, -1)
-    gaps, counts = np.ascontiguousarray(planes.T).view("<u4").reshape(2, -1).astype(np.int64)
-    return np.cumsum(gaps), counts
+    size, at, out = int.from_bytes(body[:4], "little"), 4, []
+    for _ in range(2):
+        planes, values = body[at], np.zeros(size, np.int64)
+        for k in range(planes):
+            values |= np.frombuffer(body, np.uint8, size, at + 1 + k * size).astype(np.int64) << 8 * k
+        at += 1 + planes * size
+        out.append(values)
+    return np.cumsum(out[0]), out[1]
 
 
 class Block:
@@ -161,27 +167,26 @@ class Block:
     def full(self) -> bool:
         return len(self.number) > WORDS or self.coded > CODED or self.documents >= DOCUMENTS
 
-    def grams(self) -> list[np.ndarray]:
-        """Distinct n-grams: order, hash, suffix's and context's hash, count, and whether one predicts with all that stands before."""
-        found, begin, words = [], 0, list(self.number)
-        for part in in_parts(words):
+    def grams(self) -> tuple[list[str], np.ndarray]:
+        """The n-grams of all words and their counts, in the order of their hashes."""
+        found, begin = [], 0
+        for part in in_parts(list(self.number)):
             weight = self.counts[begin : begin + len(part)]
             begin += len(part)
-            owner, orders = grams(part)
-            for m, (gram, context, ok) in enumerate(orders, 1):
-                longer = orders[m][2] if m < ORDER else np.zeros(len(ok), bool)
-                suffix = orders[m - 2][0] if m > 1 else np.zeros(len(ok), np.int64)
-                found.append(distinct(m, gram[ok], suffix[ok], context[ok], weight[owner[ok]], ~longer[ok]))
-        out = [[np.concatenate(c) for c in zip(*found[m - 1 :: ORDER])] for m in range(1, ORDER + 1)] if found else []
-        joined = [distinct(m, *columns[1:]) for m, columns in enumerate(out, 1)]
-        return [np.concatenate(c) for c in zip(*joined)] if joined else [np.zeros(0, np.int64)] * len(GRAMS)
-
-
-def distinct(m: int, gram: np.ndarray, suffix: np.ndarray, context: np.ndarray, n: np.ndarray, whole: np.ndarray) -> tuple[np.ndarray, ...]:
-    keys, first, of = np.unique(gram, return_index=True, return_inverse=True)
-    total = np.zeros(len(keys), np.int64)
-    np.add.at(total, of, n)
-    return np.full(len(keys), m, np.int8), keys, suffix[first], context[first], total, whole[first]
+            marked, owner, key, length = keys(part)
+            ends = np.flatnonzero(length > 1)
+            hashes = np.unique(key[ends])
+            at = np.searchsorted(hashes, key[ends])
+            first = np.zeros(len(hashes), np.int64)
+            first[at] = ends
+            n = np.bincount(at, weights=weight[owner[ends]], minlength=len(hashes)).astype(np.int64)
+            found.append((hashes, n, np.array([marked[e - k + 1 : e + 1] for e, k in zip(first.tolist(), length[first].tolist())], object)))
+        if not found:
+            return [], np.zeros(0, np.int64)
+        hashes, first, of = np.unique(np.concatenate([f[0] for f in found]), return_index=True, return_inverse=True)
+        n = np.zeros(len(hashes), np.int64)
+        np.add.at(n, of, np.concatenate([f[1] for f in found]))
+        return np.concatenate([f[2] for f in found])[first].tolist(), n
 
 
 def code(docs: DataFrame, text_col: str = "text") -> DataFrame:
@@ -192,17 +197,18 @@ def code(docs: DataFrame, text_col: str = "text") -> DataFrame:
     fields = to_arrow_schema(StructType.fromDDL(CODED_ROWS))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import zstandard
+
         number, block, rows = TaskContext.get().partitionId() << 32, Block(), []
 
         def close() -> tuple:
-            words = b"\n".join(block.number)
-            return (number, *[None] * 8, words, *(a.tolist() if k == 5 else a for k, a in enumerate(block.grams())))
+            return (number, *[None] * 8, zstandard.compress(b"\n".join(block.number)), *block.grams())
 
         for batch in batches:
             for part in parts(batch):
                 for doc_id, lang, text in zip(*(c.to_pylist() for c in part.columns)):
                     words = text.split()
-                    rows.append((number, doc_id, lang, len(words), *base_measures(text, words), block.add(words), *[None] * 7))
+                    rows.append((number, doc_id, lang, len(words), *base_measures(text, words), block.add(words), None, None, None))
                     if block.full():
                         rows.append(close())
                         number, block = number + 1, Block()
@@ -217,14 +223,25 @@ def code(docs: DataFrame, text_col: str = "text") -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), text_bytes(text_col)).mapInArrow(run, CODED_ROWS)
 
 
-def block_grams(coded: DataFrame, *columns: str) -> DataFrame:
-    """One row for each block and n-gram."""
-    return coded.where("words IS NOT NULL").select("block", F.inline(F.arrays_zip(*columns)))
+def count_grams(coded: DataFrame) -> DataFrame:
+    """Counts ``(gram, n)`` of the longest n-grams of coded documents."""
+    return coded.where("words IS NOT NULL").select(F.inline(F.arrays_zip("gram", "n"))).groupBy("gram").agg(F.sum("n").alias("n"))
+
 
+def all_orders(counted: DataFrame) -> DataFrame:
+    """Modified counts ``(m, gram, n)`` of the n-grams of every order.
 
-def count_grams(coded: DataFrame) -> DataFrame:
-    """Counts of all n-grams of coded documents: ``(m, gram, suffix, context, n, whole)``."""
-    return block_grams(coded, *GRAMS).groupBy("m", "gram").agg(F.min("suffix").alias("suffix"), F.min("context").alias("context"), F.sum("n").alias("n"), F.max("whole").alias("whole"))
+    Below the highest order, they are the distinct characters that stand before
+    the n-gram; those with the start mark have none and keep their counts.
+    """
+    longer = stage(counted.select(F.length("gram").cast("int").alias("m"), "gram", "n"), "ngrams")
+    anchored, out = longer, longer.where(F.col("m") == ORDER)
+    longer = out
+    for m in range(ORDER - 1, 0, -1):
+        shorter = longer.groupBy(F.substring("gram", 2, m).alias("gram")).agg(F.count_if(F.col("n") > 0).alias("n"))
+        longer = stage(shorter.select(F.lit(m).alias("m"), "gram", "n").union(anchored.where(F.col("m") == m)), "ngrams")
+        out = out.union(longer)
+    return out
 
 
 def discounts(n1: int, n2: int, n3: int, n4: int) -> list[float]:
@@ -235,52 +252,57 @@ def discounts(n1: int, n2: int, n3: int, n4: int) -> list[float]:
 
 
 def train(counted: DataFrame) -> DataFrame:
-    """Interpolated probabilities ``(m, gram, logp)`` of the n-grams that predict with all that stands before.
+    """Interpolated probabilities ``(gram, logp)`` of the longest n-grams, those that are counted.
 
-    ``counted`` is a written table of ``count_grams``. Rows of count 0 are
-    n-grams that are to be judged but were not in the corpus.
+    Rows of count 0 are n-grams that are to be judged but were not in the corpus.
     """
-    # below the highest order, the distinct characters that stand before it; n-grams with the start mark have none
-    kinds = counted.where("m > 1 AND n > 0").groupBy((F.col("m") - 1).cast("tinyint").alias("m"), F.col("suffix").alias("gram")).agg(F.count(F.lit(1)).alias("kinds"))
-    adjusted = stage(counted.join(kinds, ["m", "gram"], "left").withColumn("n", F.coalesce("kinds", "n")).drop("kinds"), "adjusted")
+    adjusted = all_orders(counted)
     of_counts = adjusted.groupBy("m").agg(*(F.count_if(F.col("n") == k).alias(f"n{k}") for k in range(1, 5)), F.count_if(F.col("n") > 0).alias("seen")).collect()
-    by_order = F.create_map(*(x for r in of_counts for x in (F.lit(r["m"]), F.array(*map(F.lit, discounts(*(r[f"n{k}"] for k in range(1, 5)))))))) if of_counts else F.lit(None).cast("map<tinyint,array<double>>")
-    floor = 1 / (next((r["seen"] for r in of_counts if r["m"] == 1), 0) + 1)
+    floor = 1 / (sum(r["seen"] for r in of_counts if r["m"] == 1) + 1)
+    taken = F.lit(0.0)
+    for r in of_counts:
+        by_count = F.array(*map(F.lit, discounts(*(r[f"n{k}"] for k in range(1, 5)))))
+        taken = F.when(F.col("m") == r["m"], by_count[F.least("n", F.lit(3)).cast("int")]).otherwise(taken)
     # what is pruned leaves its whole mass to the back-off
-    taken = F.when((F.col("m") >= PRUNED) & (F.col("n") <= 1), F.col("n")).otherwise(F.element_at(by_order, F.col("m").cast("tinyint"))[F.least("n", F.lit(3)).cast("int")])
-    priced = adjusted.withColumn("taken", taken.cast("double"))
-    contexts = priced.groupBy("m", "context").agg(F.sum("n").alias("total"), F.sum("taken").alias("freed"))
+    taken = F.when((F.col("m") >= PRUNED) & (F.col("n") <= 1), F.col("n").cast("double")).otherwise(taken)
+    priced = adjusted.select("m", "gram", "n", taken.alias("taken"), F.expr("substring(gram, 1, m - 1)").alias("context"))
+    contexts = priced.groupBy("context").agg(F.sum("n").alias("total"), F.sum("taken").alias("freed"))
+    seen = F.col("total") > 0
     shares = stage(
-        priced.join(contexts, ["m", "context"]).select(
-            "m", "gram", "suffix", "whole",
-            F.when(F.col("total") > 0, F.greatest(F.col("n") - F.col("taken"), F.lit(0.0)) / F.col("total")).otherwise(0.0).alias("own"),
-            F.when(F.col("total") > 0, F.col("freed") / F.col("total")).otherwise(1.0).alias("back_off"),
+        priced.join(contexts, "context").select(
+            "m",
+            "gram",
+            F.when(seen, F.greatest(F.col("n") - F.col("taken"), F.lit(0.0)) / F.col("total")).otherwise(0.0).alias("own"),
+            F.when(seen, F.col("freed") / F.col("total")).otherwise(1.0).alias("back_off"),
         ),
         "shares",
-    )
+    )
     lower, model = None, None
     for m in range(1, ORDER + 1):
         order = shares.where(F.col("m") == m)
         if lower is None:
             order = order.withColumn("below", F.lit(floor))
         else:
-            order = order.join(lower.select(F.col("gram").alias("suffix"), F.col("p").alias("below")), "suffix")
-        lower = stage(order.select("m", "gram", "whole", (F.col("own") + F.col("back_off") * F.col("below")).alias("p")), "probabilities")
-        chosen = lower.where("whole").select("m", "gram", F.log(F.greatest("p", F.lit(1e-300))).alias("logp"))
+            order = order.withColumn("suffix", F.substring("gram", 2, m)).join(lower.select(F.col("gram").alias("suffix"), F.col("p").alias("below")), "suffix")
+        lower = stage(order.select("m", "gram", (F.col("own") + F.col("back_off") * F.col("below")).alias("p")), "probabilities")
+        longest = lower.where((F.col("m") == ORDER) | F.startswith("gram", F.lit(START)))
+        chosen = longest.select("gram", F.log(F.greatest("p", F.lit(1e-300))).alias("logp"))
         model = chosen if model is None else model.union(chosen)
     return model
 
 
-def word_scores(words: list[bytes], hashes: np.ndarray, logp: np.ndarray) -> np.ndarray:
-    """Log-probability of each word with its end mark; ``hashes`` are sorted and hold all their n-grams."""
-    out = []
+def word_scores(words: list[bytes], logp: np.ndarray) -> np.ndarray:
+    """Log-probability of each word with its end mark; ``logp`` is in the order of the hashes of all their n-grams."""
+    hashes = [np.zeros(0, np.uint64)]
+    for part in in_parts(words):
+        _, _, key, length = keys(part)
+        hashes.append(np.unique(key[length > 1]))
+    hashes, out = np.unique(np.concatenate(hashes)), [np.zeros(0)]
     for part in in_parts(words):
-        owner, orders = grams(part)
-        key = orders[0][0]
-        for gram, _, ok in orders[1:]:
-            key = np.where(ok, gram, key)
-        out.append(np.bincount(owner, weights=logp[np.searchsorted(hashes, key)], minlength=len(part)))
-    return np.concatenate(out) if out else np.zeros(0)
+        _, owner, key, length = keys(part)
+        ends = length > 1
+        out.append(np.bincount(owner[ends], weights=logp[np.searchsorted(hashes, key[ends])], minlength=len(part)))
+    return np.concatenate(out)
 
 
 def measures(docs: DataFrame, reference: DataFrame | None = None) -> DataFrame:
@@ -292,23 +314,25 @@ def measures(docs: DataFrame, reference: DataFrame | None = None) -> DataFrame:
     counted = count_grams(coded)
     if reference is not None:
         corpus = count_grams(stage(code(reference), "coded", "zstd"))
-        counted = corpus.union(counted.withColumn("n", F.lit(0).cast("long"))).groupBy("m", "gram").agg(*(f(c).alias(c) for f, c in ((F.min, "suffix"), (F.min, "context"), (F.sum, "n"), (F.max, "whole"))))
-    model = train(stage(counted, "ngrams"))
-    known = block_grams(coded, "m", "gram", "whole").where("whole").join(model, ["m", "gram"]).groupBy("block").agg(F.array_sort(F.collect_list(F.struct("gram", "logp"))).alias("known"))
-    blocks = coded.where("words IS NOT NULL").select("block", "words").join(known, "block", "left")
+        counted = corpus.union(counted.withColumn("n", F.lit(0).cast("long"))).groupBy("gram").agg(F.sum("n").alias("n"))
+    model = train(counted)
+    wanted = coded.where("words IS NOT NULL").select("block", F.posexplode("gram").alias("k", "gram"))
+    known = wanted.join(model, "gram").groupBy("block").agg(F.array_sort(F.collect_list(F.struct("k", "logp"))).alias("known"))
+    blocks = coded.where("words IS NOT NULL").select("block", "words").join(known, "block", "left").select("block", "words", "known.logp")
     fields = to_arrow_schema(StructType.fromDDL(MEASURES))
 
     def score(rows: pa.Table, block: pa.Table) -> pa.Table:
-        words = block.column("words")[0].as_py().split(b"\n") if block.num_rows else []
-        found = block.column("known").combine_chunks().flatten()
-        each = word_scores([w for w in words if w], found.field("gram").to_numpy(), found.field("logp").to_numpy())
+        import zstandard
+
+        words = zstandard.decompress(block.column("words")[0].as_py()).split(b"\n")
+        each = word_scores([w for w in words if w], block.column("logp").combine_chunks().flatten().to_numpy())
         logp = []
         for body in rows.column("body").to_pylist():
             ids, counts = unpack(body)
             logp.append(-float(each[ids] @ counts) / int(counts.sum()) if len(ids) else None)
         return pa.table([*(rows.column(f.name) for f in list(fields)[:-1]), pa.array(logp, pa.float64())], schema=fields)
 
-    rows = coded.where("body IS NOT NULL").drop("words", *GRAMS).withColumnRenamed("block", "in_block")
+    rows = coded.where("body IS NOT NULL").drop("words", "gram", "n").withColumnRenamed("block", "in_block")
     return rows.groupBy("in_block").cogroup(blocks.groupBy("block")).applyInArrow(score, MEASURES)
 
 

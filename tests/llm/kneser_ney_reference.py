@@ -2,9 +2,36 @@
 
 from __future__ import annotations
 
+from collections import Counter
+
 import numpy as np
 
-from canopy.llm.kneser_ney import ORDER, PRUNED, code, count_grams, grams, in_parts
+from canopy.llm.kneser_ney import MULTIPLIER, ORDER, PRUNED, in_parts
+
+
+def grams(words: list[bytes]) -> tuple[np.ndarray, list[tuple[np.ndarray, np.ndarray, np.ndarray]]]:
+    """For every predicted character of all words: the index of its word, and
+    for each order the n-gram's hash, its context's hash and whether it exists.
+
+    A word is start mark, its code points, end mark; the start is not predicted.
+    """
+    texts = [w.decode("utf-8", "replace") for w in words]
+    length = np.array([len(t) + 2 for t in texts], np.int64)
+    codes = np.frombuffer("".join(f"\x02{t}\x03" for t in texts).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+    owner = np.repeat(np.arange(len(texts)), length)
+    place = np.arange(len(codes)) - np.repeat(np.cumsum(length) - length, length)
+    predicted = place > 0
+    gram = context = np.zeros(len(codes), np.uint64)
+    orders = []
+    for m in range(1, ORDER + 1):  # what stands m-1 characters before is mixed in last: a shorter n-gram is the suffix
+        before = np.concatenate([np.zeros(m - 1, np.uint64), codes[: max(len(codes) - m + 1, 0)]])[: len(codes)]
+        gram = (gram ^ before + np.uint64(m)) * MULTIPLIER
+        gram ^= gram >> np.uint64(29)
+        if m > 1:
+            context = (context ^ before + np.uint64(m + 64)) * MULTIPLIER
+            context ^= context >> np.uint64(29)
+        orders.append((gram.view(np.int64)[predicted], context.view(np.int64)[predicted], (place >= m - 1)[predicted]))
+    return owner[predicted], orders
 
 
 class Model:
@@ -75,5 +102,12 @@ class Model:
 
 
 def train(docs) -> Model:
-    table = count_grams(code(docs)).toArrow()
-    return Model({c: table.column(c).to_numpy() for c in table.column_names})
+    counts = Counter(w for r in docs.select("text").collect() for w in (r["text"] or "").encode().split())
+    owner, orders = grams(list(counts))
+    times, rows = list(counts.values()), {}
+    for m, (gram, context, ok) in enumerate(orders, 1):
+        suffix = orders[m - 2][0] if m > 1 else np.zeros_like(gram)
+        for o, g, s, c in zip(*(a[ok].tolist() for a in (owner, gram, suffix, context))):
+            row = rows.setdefault((m, g), [m, g, s, c, 0])
+            row[4] += times[o]
+    return Model({c: np.array([r[k] for r in rows.values()], np.int64) for k, c in enumerate(("m", "gram", "suffix", "context", "n"))})
