@@ -39,7 +39,7 @@ ORDER = 4
 #: From this order on, n-grams seen once are pruned: else a document of noise knows itself by heart.
 PRUNED = 2
 #: A block ends with the document that brings it over so many distinct words, bytes of coded documents or documents.
-WORDS, CODED, DOCUMENTS = 500_000, 1 << 25, 100_000
+WORDS, CODED, DOCUMENTS = 250_000, 1 << 24, 50_000
 # fixed values: no word holds these
 START, END = " ", "\n"
 #: Words of evidence that the language's median counts as, and the band's reach.
@@ -69,7 +69,7 @@ def keys(words: list[bytes]) -> tuple[str, np.ndarray, np.ndarray, np.ndarray]:
     return marked, owner, key, np.minimum(place + 1, ORDER)
 
 
-def in_parts(words: list[bytes], most: int = 1_000_000) -> Iterator[list[bytes]]:
+def in_parts(words: list[bytes], most: int = 250_000) -> Iterator[list[bytes]]:
     """Lists of words of about ``most`` bytes in all."""
     part, size = [], 0
     for w in words:
@@ -310,10 +310,10 @@ def measures(docs: DataFrame, reference: DataFrame | None = None) -> DataFrame:
 
     The model is that of ``reference``, or of the documents themselves.
     """
-    coded = stage(code(docs), "coded", "zstd")
+    coded = stage(code(docs), "coded")
     counted = count_grams(coded)
     if reference is not None:
-        corpus = count_grams(stage(code(reference), "coded", "zstd"))
+        corpus = count_grams(stage(code(reference), "coded"))
         counted = corpus.union(counted.withColumn("n", F.lit(0).cast("long"))).groupBy("gram").agg(F.sum("n").alias("n"))
     model = train(counted)
     wanted = coded.where("words IS NOT NULL").select("block", F.posexplode("gram").alias("k", "gram"))
