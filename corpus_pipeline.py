@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from canopy.llm import cotraining, packing, secrets, simhash, tiling
+from canopy.llm import cotraining, overlap, packing, secrets, simhash, tiling
 from canopy.storage import stage
 
 
@@ -19,8 +19,11 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document of the smallest id of each group."""
-    return simhash.first_of_each(docs)
+    """Keeps the document of the smallest id of each SimHash group, then no two of similarity 0.8 on five words.
+
+    The groups are those of op1 and take copies cheaply; the overlap pass is exact on what they leave.
+    """
+    return overlap.first_of_each(stage(simhash.first_of_each(docs), "ungrouped"))
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
