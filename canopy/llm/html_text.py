@@ -4,8 +4,11 @@
 Every line has a text-to-tag ratio (characters of text by tags in it). The
 ratios are smoothed with a Gaussian, and a threshold parts content lines from
 the rest. The content lines vote, with their characters, for the container
-that holds the article; its lines are the content region. Lines inside menus,
-forms, notices and the like never belong to it.
+that holds the article; its lines are the content region. The names article
+and main only widen it, to the outermost of them around the elected container.
+Lines inside menus, forms, notices and the like never belong to it. A class or
+role that marks such a part counts inside the region only, so a layout wrapper
+cannot silence the region that it holds.
 """
 
 from __future__ import annotations
@@ -37,11 +40,14 @@ WIDTH = 2.0
 
 
 class Lines(HTMLParser):
-    """Folds parser events into lines: text, tags, container and whether noise holds it."""
+    """Folds parser events into lines: text, tags, container, whether it may vote, and what silences it.
+
+    Silence is None inside noise by tag, else the containers around the elements that are noise by class or role.
+    """
 
     def __init__(self):
         super().__init__(convert_charrefs=True)
-        self.open: list[tuple[str, int, bool]] = []  # name, number of its container, noise
+        self.open: list[tuple[str, int, bool, tuple | None]] = []  # name, number of its container, noise for the vote, silence
         self.parts: list[str] = []
         self.tags = self.containers = 0
         self.parents, self.is_article, self.lines = [-1], [False], []
@@ -49,7 +55,7 @@ class Lines(HTMLParser):
     def end_line(self) -> None:
         text = " ".join("".join(self.parts).split())
         if text or self.tags:
-            self.lines.append((text, self.tags, self.open[-1][1] if self.open else 0, bool(self.open) and self.open[-1][2]))
+            self.lines.append((text, self.tags, *(self.open[-1][1:] if self.open else (0, False, ()))))
         self.parts, self.tags = [], 0
 
     def handle_starttag(self, tag: str, attrs: list) -> None:
@@ -60,18 +66,28 @@ class Lines(HTMLParser):
             return
         if tag == "p" or tag == "li":  # their end tags may be left out
             self.leave(tag, SCOPE)
-        noise = bool(self.open) and self.open[-1][2] or tag in HIDDEN or tag in ASIDE
-        if attrs and not noise and tag not in ("html", "body", "article", "main"):
-            values = {k: v or "" for k, v in attrs}
-            noise = bool(NOISE.search(values.get("class", "")) or NOISE.search(values.get("id", ""))) or values.get("role", "") in ROLES or "hidden" in values or values.get("aria-hidden") == "true"
-        holder = self.open[-1][1] if self.open else 0
+        _, holder, noise, silence = self.open[-1] if self.open else ("", 0, False, ())
+        if tag in HIDDEN or tag in ASIDE:
+            noise, silence = True, None
+        elif silence is not None:
+            named = False
+            if attrs and (not noise or tag in ARTICLE) and tag not in ("html", "body"):
+                values = {k: v or "" for k, v in attrs}
+                gone = "hidden" in values or values.get("aria-hidden") == "true"
+                named = bool(NOISE.search(values.get("class", "")) or NOISE.search(values.get("id", ""))) or values.get("role", "") in ROLES
+                if gone:
+                    noise, silence = True, None
+                elif named and tag not in ARTICLE:
+                    noise, silence = True, (*silence, holder)
+            if tag in ARTICLE and not named and silence is not None:  # may vote inside a wrapper
+                noise = False
         if tag in SCOPE:
             self.containers += 1
             self.parents.append(holder)
             self.is_article.append(tag in ARTICLE)
             holder = self.containers
         if tag in SCOPE or noise or tag not in INLINE:
-            self.open.append((tag, holder, noise))
+            self.open.append((tag, holder, noise, silence))
 
     def leave(self, tag: str, barrier: frozenset) -> None:
         for k in range(len(self.open) - 1, -1, -1):
@@ -115,11 +131,11 @@ def main_text(html: str) -> str:
     lines = parser.lines
     if not lines:
         return ""
-    ratio = np.array([len(t) / max(tags, 1) for t, tags, _, _ in lines])
+    ratio = np.array([len(t) / max(tags, 1) for t, tags, *_ in lines])
     level = smooth(ratio)
     content = level >= level.std() if level.std() > 0 else level > 0
     votes: dict[int, float] = defaultdict(float)
-    for (text, _, holder, noise), good in zip(lines, content):
+    for (text, _, holder, noise, _), good in zip(lines, content):
         if text and not noise:
             votes[holder] += len(text) * (1.0 if good else 0.25)
     if not votes:
@@ -129,21 +145,20 @@ def main_text(html: str) -> str:
         while holder >= 0:
             total[holder] += v
             holder = up[holder]
-    articles = [k for k in total if parser.is_article[k]]
-    if articles:  # the largest, and of nested ones the outer
-        best = max(articles, key=lambda k: (total[k], -k))
-    else:  # the innermost container that has most of the votes
-        best = 0
-        while inner := [k for k in total if k and up[k] == best and total[k] >= 0.6 * total[0]]:
-            best = max(inner, key=total.get)
+    best = 0  # the innermost container that has most of the votes
+    while inner := [k for k in total if k and up[k] == best and total[k] >= 0.6 * total[0]]:
+        best = max(inner, key=total.get)
+    holder = best
+    while holder >= 0:
+        best, holder = holder if parser.is_article[holder] else best, up[holder]
 
     def within(holder: int) -> bool:
         while holder >= 0 and holder != best:
             holder = up[holder]
         return holder == best
 
-    inside = {h: within(h) for h in votes}
-    return " ".join(t for t, _, h, noise in lines if t and not noise and inside[h])
+    inside = {h: within(h) for h in range(len(up))}
+    return " ".join(t for t, _, h, _, silence in lines if t and inside[h] and silence is not None and not any(inside[p] for p in silence))
 
 
 def extract(pages: DataFrame) -> DataFrame:
