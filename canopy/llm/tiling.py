@@ -88,8 +88,10 @@ def tile(doc: np.ndarray, item: np.ndarray, least: int = SEED) -> list[tuple[int
                 taken_doc[d : d - n] = True
                 taken_item[i : i - n] = True
                 tiles.append((d, i, -n))
-        if size == least:
-            break
+        if size == least:  # what a tile left free of a longer match may still fit
+            if not matches:
+                break
+            continue
         size = max(size // 2 if size > 2 * least else least, least)
     return tiles
 
