@@ -7,22 +7,21 @@ of these prefixes miss no pair. Any order is exact; shingles that are common
 in a sample of the documents come last in it, which keeps the lists short.
 
 A document goes if a smaller id is similar, so one such id settles it. Lists are
-first checked against single members, which settles groups of near copies without
-forming their pairs; then what is open is checked against all smaller members.
-Every candidate is verified on whole sets.
+first checked against their smallest member, round by round, which settles groups
+of near copies without forming their pairs; then what is open is checked against
+the smaller members left. Every candidate is verified on whole sets.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
-from itertools import count, repeat
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from canopy.arrow import Shared, arrow_map, parts
+from canopy.arrow import Shared, arrow_map, parts, to_batch
 from canopy.llm.columns import text_bytes
 from canopy.storage import stage
 
@@ -32,17 +31,30 @@ SHINGLE, NUM, DEN, SEED = 5, 4, 5, 42
 SAMPLE, COMMON, ORDERED = 20_000, 8, 200_000
 #: Rounds against single members go on while they drop one in so many documents of the lists.
 WORTH = 20
+MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
+#: Postings packed at once by a task; bytes of text whose postings share a bucket.
+PACK, BUCKET_BYTES = 1 << 19, 1 << 26
+PACKED = pa.schema([("bucket", pa.int64()), *((c, pa.binary()) for c in ("keys", "ids", "n", "place"))])
 
 
 def shingles(text: bytes, size: int = SHINGLE) -> np.ndarray:
-    """The sorted hashes of the distinct shingles; one for a shorter text, none without words."""
+    """The sorted hashes of the distinct shingles; one for a shorter text, none without words.
+
+    A shingle's hash mixes the hashes of its words in their order.
+    """
     from xxhash import xxh64_intdigest
 
     words = text.lower().split()
     if not words:
         return np.empty(0, np.int64)
-    grams = map(b" ".join, zip(*(words[k:] for k in range(size)))) if len(words) >= size else [b" ".join(words)]
-    return np.unique(np.fromiter(map(xxh64_intdigest, grams, repeat(SEED)), np.uint64).view(np.int64))
+    known = {w: xxh64_intdigest(w, SEED) for w in set(words)}
+    each = np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
+    n = max(len(words) - size + 1, 1)
+    mixed = np.zeros(n, np.uint64)
+    for k in range(min(size, len(words))):
+        mixed = (mixed ^ each[k : k + n]) * MULTIPLIER
+        mixed ^= mixed >> np.uint64(29)
+    return np.unique(mixed.view(np.int64))
 
 
 def prefix(found: np.ndarray, common: np.ndarray, rank: np.ndarray) -> np.ndarray:
@@ -73,44 +85,77 @@ def common_shingles(docs: DataFrame, size: int) -> tuple[np.ndarray, np.ndarray]
 
 
 def postings(docs: DataFrame, size: int) -> DataFrame:
-    """``(key, id, n, pos)`` for every shingle of every prefix."""
+    """``(bucket, keys, ids, n, place)``: postings of every prefix, dealt by key to buckets and packed there.
+
+    A row holds what some documents of one task put into one bucket: the keys, for each key the place of its document
+    in ``ids``, and the documents' numbers of shingles. So a posting takes ten bytes on its way, not a whole row.
+    """
     order = Shared(docs.sparkSession, common_shingles(docs, size))
+    words = docs.agg(F.sum(F.octet_length("text")).alias("n")).first()["n"] or 0
+    buckets = max(1, words // BUCKET_BYTES)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common, rank = order.value
+        keys, ids, sizes, held = [], [], [], 0
+
+        def packed() -> pa.RecordBatch:
+            lengths = [len(k) for k in keys]
+            every, place = np.concatenate(keys).view(np.uint64), np.repeat(np.arange(len(ids), dtype=np.uint16), lengths)
+            dealt = (every >> np.uint64(20)) % np.uint64(buckets)
+            by = np.argsort(dealt, kind="stable")
+            every, place, dealt = every[by], place[by], dealt[by].astype(np.int64)
+            starts = np.flatnonzero(np.concatenate([[True], dealt[1:] != dealt[:-1]]))
+            rows, own, n = [], np.array(ids, np.int64), np.array(sizes, np.int32)
+            for start, stop in zip(starts.tolist(), [*starts[1:].tolist(), len(every)]):
+                docs_here, at = np.unique(place[start:stop], return_inverse=True)
+                rows.append((int(dealt[start]), every[start:stop].tobytes(), own[docs_here].tobytes(), n[docs_here].tobytes(), at.astype(np.uint16).tobytes()))
+            return to_batch(rows, PACKED)
+
         for batch in batches:
             for part in parts(batch):
-                keys, ids, sizes = [], [], []
                 for key, text in zip(*(c.to_pylist() for c in part.columns)):
                     found = shingles(text, size)
+                    if not len(found):
+                        continue
                     keys.append(prefix(found, common, rank))
                     ids.append(key)
                     sizes.append(len(found))
-                lengths = [len(k) for k in keys]
-                columns = [np.concatenate(keys), np.repeat(np.array(ids, np.int64), lengths), np.repeat(np.array(sizes, np.int32), lengths), np.concatenate([np.arange(n, dtype=np.int32) for n in lengths])]
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["key", "id", "n", "pos"])
+                    held += len(keys[-1])
+                    if held >= PACK or len(ids) == 1 << 16:
+                        yield packed()
+                        keys, ids, sizes, held = [], [], [], 0
+        if ids:
+            yield packed()
 
-    return docs.select("id", "text").mapInArrow(run, "key long, id long, n int, pos int")
+    return docs.select("id", "text").mapInArrow(run, "bucket long, keys binary, ids binary, n binary, place binary")
 
 
-def candidates(members: DataFrame, pivot: int | None) -> DataFrame:
-    """Pairs ``(a, b)``, a < b and b open, that sizes and places allow: ``a`` is each list's member number ``pivot``, or any."""
+def members(docs: DataFrame, size: int) -> DataFrame:
+    """``(key, id, n)`` of the keys that two or more ids have in their prefixes."""
+    out = pa.schema([("key", pa.int64()), ("id", pa.int64()), ("n", pa.int32())])
 
-    def make():
-        def step(lists: list) -> Iterator[tuple]:
-            for group in lists:
-                ids, n, pos, open_ = (np.array([m[f] for m in group], np.int64) for f in ("id", "n", "pos", "open"))
-                rest = n - pos  # shingles from the common one on
-                asked = np.flatnonzero(open_)
-                order = np.argsort(ids, kind="stable")
-                for k in order if pivot is None else order[pivot : pivot + 1]:
-                    fits = (np.minimum(rest[k], rest[asked]) * (NUM + DEN) >= NUM * (n[k] + n[asked])) & (ids[asked] > ids[k])
-                    yield from ((int(ids[k]), int(b)) for b in ids[asked[fits]])
+    def shared(bucket: pa.Table) -> pa.Table:
+        keys, ids, sizes = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int32)]
+        for k, i, n, place in zip(*(bucket.column(c).to_pylist() for c in ("keys", "ids", "n", "place"))):
+            at = np.frombuffer(place, np.uint16)
+            keys.append(np.frombuffer(k, np.int64))
+            ids.append(np.frombuffer(i, np.int64)[at])
+            sizes.append(np.frombuffer(n, np.int32)[at])
+        key, own, n = np.concatenate(keys), np.concatenate(ids), np.concatenate(sizes)
+        order = np.argsort(key, kind="stable")
+        key, own, n = key[order], own[order], n[order]
+        first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
+        several = np.minimum.reduceat(own, first) != np.maximum.reduceat(own, first) if len(first) else np.zeros(0, bool)
+        keep = np.repeat(several, np.diff(first, append=len(key)))
+        return pa.table([key[keep], own[keep], n[keep]], schema=out)
+
+    return postings(docs, size).groupBy("bucket").applyInArrow(shared, "key long, id long, n int")
 
-        return step
 
-    lists = members.groupBy("key").agg(F.collect_list(F.struct("id", "n", "pos", "open")).alias("group")).where(F.expr("size(group) > 1 AND exists(group, m -> m.open)"))
-    return stage(arrow_map(lists.select("group"), make, "a long, b long").distinct(), "candidates")
+def fitting(open_: DataFrame, others: DataFrame) -> DataFrame:
+    """Pairs ``(a, b)``, a < b and b open, that share a key and whose sizes allow similarity; ``others(key, a, m)``."""
+    both = open_.where("open").join(others, "key").where((F.col("a") < F.col("id")) & (F.least("n", "m") * DEN >= NUM * F.greatest("n", "m")))
+    return stage(both.select("a", F.col("id").alias("b")).distinct(), "candidates")
 
 
 def similar(docs: DataFrame, pairs: DataFrame, size: int) -> DataFrame:
@@ -136,23 +181,27 @@ def repeats(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
     no part.
     """
     docs = docs.where("id IS NOT NULL")
-    members = stage(postings(docs, size), "postings")
-    shared = members.groupBy("key").count().where("count > 1").select("key")
-    members = stage(members.join(shared, "key", "left_semi").withColumn("open", F.lit(True)), "members")
-    gone = None
-    for pivot in count():
-        found = stage(similar(docs, candidates(members, pivot), size).select(F.col("b").alias("id")).distinct(), "repeats")
+    shared, gone = stage(members(docs, size).withColumn("open", F.lit(True)), "members"), None
+    while True:
+        pivot = stage(shared.groupBy("key").agg(F.min(F.struct("id", "n")).alias("p")).select("key", F.col("p.id").alias("a"), F.col("p.n").alias("m")), "pivots")
+        found = stage(similar(docs, fitting(shared, pivot), size).select(F.col("b").alias("id")).distinct(), "repeats")
         gone = found if gone is None else gone.union(found)
-        dropped, held = found.count(), members.where("open").select("id").distinct().count()
-        mark = found.withColumn("found", F.lit(True))
-        members = stage(members.join(mark, "id", "left").select("key", "id", "n", "pos", (F.col("open") & F.col("found").isNull()).alias("open")), "members")
+        dropped, held = found.count(), shared.where("open").select("id").distinct().count()
+        # a pivot has met the rest of its list
+        rest = shared.join(pivot.select("key", "a"), "key").where("id > a").join(found.withColumn("found", F.lit(True)), "id", "left")
+        shared = stage(rest.select("key", "id", "n", (F.col("open") & F.col("found").isNull()).alias("open")), "members")
         if dropped * WORTH <= held:
             break
-    rest = similar(docs, candidates(members, None), size).select(F.col("b").alias("id"))
+    rest = similar(docs, fitting(shared, shared.select("key", F.col("id").alias("a"), F.col("n").alias("m"))), size).select(F.col("b").alias("id"))
     return stage(gone.union(rest).distinct(), "repeats")
 
 
+def similar_to_smaller(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SHINGLE) -> DataFrame:
+    """The ids of rows that are similar to a row of smaller id."""
+    found = repeats(docs.select(F.col(id_col).cast("long").alias("id"), text_bytes(text_col)).withColumnRenamed(text_col, "text"), size)
+    return found.withColumnRenamed("id", id_col)
+
+
 def first_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SHINGLE) -> DataFrame:
     """``docs`` without the rows similar to a row of smaller id; rows that repeat an id share its fate."""
-    gone = repeats(docs.select(F.col(id_col).cast("long").alias("id"), text_bytes(text_col)).withColumnRenamed(text_col, "text"), size)
-    return docs.join(gone.withColumnRenamed("id", id_col), id_col, "left_anti").select(docs.columns)
+    return docs.join(similar_to_smaller(docs, id_col, text_col, size), id_col, "left_anti").select(docs.columns)

@@ -163,11 +163,15 @@ def hex_fingerprint(fp: str = "fp") -> F.Column:
     return F.lpad(F.lower(F.hex(fp)), 16, "0")
 
 
-def first_of_each(docs: DataFrame, **options) -> DataFrame:
+def stood_for(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
+    """The ids that a smaller id of their group stands for, written."""
+    classes = near_duplicates(docs, id_col, **options)
+    return stage(classes.where(F.col(id_col) != F.col("component_id")).select(id_col).distinct(), "stood_for")
+
+
+def first_of_each(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
     """``docs`` without the rows that another document of their group stands for.
 
     Rows that repeat an id share its fate; rows without an id stay.
     """
-    classes = near_duplicates(docs, **options)
-    gone = classes.where("doc_id != component_id").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(docs.columns)
+    return docs.join(stood_for(docs, id_col, **options), id_col, "left_anti").select(docs.columns)
