@@ -22,6 +22,11 @@ def build(nodes: DataFrame) -> DataFrame:
     return ranked.select("label", "tree_id", F.col("rank").alias("ord"), "begin", "end", "level")
 
 
+def ordinals(nodes: DataFrame) -> DataFrame:
+    """``nodes`` with ``ord``, the place in the label's list."""
+    return preorder(nodes, ["tree_id", "begin"], group="label").withColumnRenamed("rank", "ord")
+
+
 def label_counts(nodes: DataFrame) -> DataFrame:
     return nodes.groupBy("label").agg(F.count(F.lit(1)).alias("support"), F.count_distinct("tree_id").alias("trees"))
 

@@ -108,7 +108,7 @@ def navigation(spark: SparkSession, folder: str, label: str = "type", sessions:
     """Visits as trees; ``keep`` percent of them, by a hash of the tree."""
     edges = navigation_edges(spark, folder, label, sessions, gap)
     if keep < 100:
-        edges = edges.where(F.pmod(F.xxhash64("tree"), F.lit(100)) < keep)
+        edges = edges.where(F.conv(F.substring(F.md5(F.col("tree").cast("string").cast("binary")), 1, 8), 16, 10).cast("long") % 100 < keep)
     return encode_edges(edges, order="o", tree="tree")
 
 

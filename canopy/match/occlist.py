@@ -37,12 +37,12 @@ def bit_count(bitmaps: DataFrame, keys: list[str]) -> DataFrame:
     return bitmaps.groupBy(*keys).agg(F.sum(F.bitmap_count("bits")).alias("n"))
 
 
-def unpack(bitmaps: DataFrame, lists: DataFrame, keys: list[str]) -> DataFrame:
+def unpack(bitmaps: DataFrame, lists: DataFrame, keys: list[str], entry: list[str] = ["label", "tree_id", "begin"]) -> DataFrame:  # noqa: B006
     """Bitmaps as rows again: entries of the label's list whose bit is set."""
     entries = lists.withColumn("bucket", F.bitmap_bucket_number(F.col("ord"))).withColumn("bit", F.bitmap_bit_position(F.col("ord")))
     both = bitmaps.join(entries, ["label", "bucket"])
     byte = F.expr("cast(conv(hex(substring(bits, cast(bit div 8 as int) + 1, 1)), 16, 10) as int)")
-    return both.where(byte.bitwiseAND(F.expr("shiftleft(1, cast(bit % 8 as int))")) != 0).select(*keys, "label", "tree_id", "begin")
+    return both.where(byte.bitwiseAND(F.expr("shiftleft(1, cast(bit % 8 as int))")) != 0).select(*keys, *entry)
 
 
 def equal_by_count(counts: DataFrame, whole: str, part: str) -> DataFrame:

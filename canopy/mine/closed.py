@@ -66,8 +66,7 @@ def covering(search: Search, pairs: list[tuple[Mined, Mined, frozenset[int]]]) -
             inner[q.size] += [(p.id, q.id, n + 1) for n in images]
     tables = []
     for size, rows in inner.items():
-        where = search.spark.createDataFrame(rows, "p long, pattern_id long, pos int")
-        tables.append(search.occ[size].join(F.broadcast(where), "pattern_id").select("p", F.col("pattern_id").alias("q"), "tree_id", F.element_at("img", F.col("pos")).alias("root"), "w"))
+        tables.append(search.images(size, rows))
     if tables:
         every = tables[0]
         for t in tables[1:]:

@@ -28,7 +28,7 @@ from canopy.pattern.canonical import Rank, canonicalise, code, identity, is_cano
 from canopy.pattern.expand import child_join, class_key, cousin_join
 from canopy.pattern.model import Pattern, single
 from canopy.pattern.morph import one_smaller
-from canopy.storage import stage
+from canopy.storage import stage, stored_bytes
 
 
 @dataclass
@@ -44,6 +44,7 @@ class Mined:
     support: int = 0
     n_occ: int = 0
     n_part: int = 0  # distinct images of the prefix and the right parent's last node
+    sizes: tuple[int, ...] = ()  # entries of each node's list, where lists are stored
     locally_closed: bool = True
     locally_maximal: bool = True
     closed: bool = True
@@ -67,6 +68,7 @@ class Counters:
     seconds: float = 0.0
     closed_seconds: float = 0.0
     occ_rows: int = 0
+    stored_bytes: int = 0
     complete: bool = True
     levels: dict[int, tuple[int, int]] = field(default_factory=dict)
 
@@ -91,6 +93,8 @@ class Options:
     compress: bool = True
     apriori: bool = False
     max_occurrences: int = 400_000_000
+    strategy: str = "tuples"
+    lists: str = "rows"
 
 
 def label_rank(nodes: DataFrame, how: str) -> Rank:
@@ -163,12 +167,16 @@ class Search:
         if self.options.compress and self.options.support == "root":
             per_root = pairs.groupBy("a_label", "d_label", "tree_id", "a").agg(F.lit(1).alias("one")).groupBy("a_label", "d_label").agg(F.count(F.lit(1)).alias("n"))
             often = [(r["a_label"], r["d_label"]) for r in per_root.where(F.col("n") >= n).collect()]
-            pairs = root_pairs(self.nodes, pairs, self.roots, sorted({x for k in often for x in k}))
+            pairs, trees = root_pairs(self.nodes, pairs, self.roots, sorted({x for k in often for x in k}))
         else:
-            pairs = pairs.withColumn("w", F.lit(1).cast("long"))
+            one = F.lit(1).cast("long").alias("w")
+            pairs, trees = pairs.select("*", one), self.nodes.select("tree_id", "begin", "end", "label", "anc", one)
         table = self.spark.createDataFrame(rows, "pattern_id long, a_label string, d_label string")
-        occ = pairs.join(F.broadcast(table), ["a_label", "d_label"]).select("pattern_id", "tree_id", F.array("a", "d").alias("img"), "x_end", "y_end", "w")
-        return self.evaluated(2, new, occ)
+        return self.evaluated(2, new, self.seeded(pairs.join(F.broadcast(table), ["a_label", "d_label"]), trees))
+
+    def seeded(self, pairs: DataFrame, trees: DataFrame) -> DataFrame:
+        """What is stored of the 2-patterns; ``trees`` holds the weighted nodes."""
+        return stage(pairs.select("pattern_id", "tree_id", F.array("a", "d").alias("img"), "x_end", "y_end", "w"), "occ2")
 
     def evaluated(self, size: int, new: list[Mined], occ: DataFrame, part: bool = False) -> list[Mined]:
         """Fill in counts; keeps the frequent ones' occurrences for the next level."""
@@ -176,11 +184,16 @@ class Search:
         for m in new:
             m.support, m.n_occ, m.n_part = counts.get(m.id, (0, 0, 0))
             m.canonical = is_canonical(m.pattern, self.rank)
+        return self.tallied(size, new, occ, sum(m.n_occ for m in new if m.support >= self.options.minsup))
+
+    def tallied(self, size: int, new: list[Mined], occ: DataFrame, entries: int) -> list[Mined]:
+        """The frequent ones of ``new``, with counters and budgets brought up to date."""
         frequent = [m for m in new if m.support >= self.options.minsup]
         c = self.counters
         c.computed += len(new)
         c.freq += sum(m.canonical for m in frequent)
-        c.occ_rows += sum(m.n_occ for m in frequent)
+        c.occ_rows += entries
+        c.stored_bytes += stored_bytes(occ)
         c.levels[size] = (len(new), len(frequent))
         self.occ[size] = occ
         if c.occ_rows > self.options.max_occurrences:
@@ -213,14 +226,18 @@ class Search:
             self.known = (len(self.mined), {canonicalise(m.pattern) for m in self.mined.values() if m.support >= self.options.minsup})
         return all(p in self.known[1] for p in one_smaller(q, keep_root=True))
 
-    def join(self, size: int, new: list[Mined]) -> DataFrame:
-        """Occurrences of the candidates of one level (patterns of ``size`` nodes)."""
+    def admit(self, size: int, new: list[Mined]) -> None:
+        """Number the candidates of a level, within the budget."""
         if len(new) > self.options.max_candidates:
             self.counters.complete = False
             raise TooMany(size, len(new), self.counters)
         for m in new:
             m.id = len(self.mined)
             self.mined[m.id] = m
+
+    def join(self, size: int, new: list[Mined]) -> DataFrame:
+        """Occurrences of the candidates of one level (patterns of ``size`` nodes)."""
+        self.admit(size, new)
         table = F.broadcast(self.spark.createDataFrame([(m.id, m.left, m.right, m.kind == "child") for m in new], "q long, left long, right long, child boolean"))
         wanted = self.spark.createDataFrame([(k,) for k in sorted({i for m in new for i in (m.left, m.right)})], "pattern_id long")
         before = self.occ[size - 1].join(F.broadcast(wanted), "pattern_id", "left_semi")
@@ -241,6 +258,25 @@ class Search:
             if q.canonical and q.left in self.mined:
                 self.mined[q.left].locally_maximal = False
 
+    # reading what is stored
+
+    def count_parts(self, size: int, possible: list[tuple[Mined, Mined]]) -> None:
+        """``n_part`` of joins and ``n_occ`` of their right parents; tuples have been counted with their support."""
+
+    def occurrences(self, size: int, ids: list[int]) -> DataFrame:
+        """``(pattern_id, tree_id, img, x_end, y_end, w)`` of some patterns of a level."""
+        some = self.spark.createDataFrame([(k,) for k in ids], "pattern_id long")
+        return self.occ[size].join(F.broadcast(some), "pattern_id", "left_semi")
+
+    def images(self, size: int, where: list[tuple[int, int, int]]) -> DataFrame:
+        """``(p, q, tree_id, root, w)``: images of the node at a place (from 1) of q, for each ``(p, q, place)``."""
+        at = self.spark.createDataFrame(where, "p long, pattern_id long, place int")
+        return self.occ[size].join(F.broadcast(at), "pattern_id").select("p", F.col("pattern_id").alias("q"), "tree_id", F.element_at("img", F.col("place")).alias("root"), "w")
+
+    def lists(self, size: int) -> DataFrame:
+        """``(pattern_id, pos, tree_id, begin)`` of a level's patterns."""
+        return self.occ[size].select("pattern_id", "tree_id", F.posexplode("img").alias("pos", "begin")).select("pattern_id", "pos", "tree_id", "begin").distinct()
+
     # results
 
     def reported(self) -> list[Mined]:

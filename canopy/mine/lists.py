@@ -1,78 +1,15 @@
-"""Frequent patterns with list-based support: semi-joins for a whole level at once.
-
-Instead of occurrences, every pattern node has a list of images. One level is
-evaluated bottom-up: a node's list are the nodes of its label that have, for
-every pattern child, a node of the child's list below. Lists are linear in the
-data where occurrences can be exponential. The root lists are exact for
-patterns without sibling conflicts; the others are evaluated by occurrences.
-"""
+"""Frequent patterns with list-based support."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
-from canopy.match.sibling import conflict_free, nested_labels
-from canopy.match.twig import roots
-from canopy.mine.engine import Mined, Search, TooMany
-from canopy.mine.miners import finished, options
+from canopy.mine.miners import finished, grow, open_search
 from canopy.mine.result import MiningResult
-from canopy.pattern.canonical import is_canonical
-from canopy.pattern.model import Pattern
-from canopy.storage import stage
-
-
-def root_lists(nodes: DataFrame, patterns: dict[int, Pattern]) -> DataFrame:
-    """``(pattern_id, tree_id, begin)``: root images under homomorphisms of all patterns."""
-    spark = nodes.sparkSession
-    rows = [(k, n, x, p.parent[n], len(p.ancestors[n]), len(p.children[n])) for k, p in patterns.items() for n, x in enumerate(p.labels)]
-    shape = spark.createDataFrame(rows, "pattern_id long, pos int, label string, up int, depth int, n_children int")
-    deepest = max(r[4] for r in rows)
-    kept = None
-    for depth in range(deepest, -1, -1):
-        here = nodes.select("tree_id", "begin", "label", "anc").join(F.broadcast(shape.where(F.col("depth") == depth)), "label")
-        if kept is not None:
-            inside = here.where("n_children > 0").join(kept, ["pattern_id", "pos", "tree_id", "begin"]).where("n_found = n_children").drop("n_found")
-            here = here.where("n_children = 0").unionByName(inside)
-        if depth == 0:
-            return here.select("pattern_id", "tree_id", "begin")
-        above = here.select("pattern_id", F.col("pos").alias("child"), F.col("up").alias("pos"), "tree_id", F.explode("anc").alias("begin")).distinct()
-        kept = stage(above.groupBy("pattern_id", "pos", "tree_id", "begin").agg(F.count(F.lit(1)).alias("n_found")), "held")
-    raise AssertionError
-
-
-def mine_lists(nodes: DataFrame, minsup: float, **kw) -> MiningResult:
-    """Same patterns and supports as ``mine_frequent``; occurrences are built only where siblings may conflict."""
-    search = Search(nodes, options(nodes, minsup, {"compress": False, **kw}))
-    above, document = nested_labels(nodes), search.options.support == "document"
-    frequent, size, most = search.seed(), 2, search.options.max_size
-    while frequent and (most is None or size < most):
-        size += 1
-        new = [q for members in search.classes(frequent).values() for q in search.candidates(members, [x for x in members if x.canonical])]
-        if len(new) > search.options.max_candidates:
-            raise TooMany(size, len(new), search.counters)
-        for m in new:
-            m.id, m.canonical = len(search.mined), is_canonical(m.pattern, search.rank)
-            search.mined[m.id] = m
-        if not new:
-            break
-        counts: dict[int, int] = {}
-        easy = {m.id: m.pattern for m in new if conflict_free(m.pattern, above)}
-        if easy:
-            got = root_lists(nodes, easy)
-            got = got.select("pattern_id", "tree_id").distinct() if document else got
-            counts = {r["pattern_id"]: r["n"] for r in got.groupBy("pattern_id").agg(F.count(F.lit(1)).alias("n")).collect()}
-        for m in new:
-            if m.id not in easy:
-                found = roots(nodes, m.pattern)
-                counts[m.id] = (found.select("tree_id").distinct() if document else found).count()
-            m.support = counts.get(m.id, 0)
-        frequent = [m for m in new if m.support >= search.options.minsup]
-        search.counters.computed += len(new)
-        search.counters.freq += sum(m.canonical for m in frequent)
-        search.counters.levels[size] = (len(new), len(frequent))
-        search.local_flags(frequent)
-    return finished(search, "lists")
 
 
-__all__ = ["Mined", "mine_lists", "root_lists"]
+def mine_lists(nodes: DataFrame, minsup: float, lists: str = "rows", **kw) -> MiningResult:
+    """Same patterns and supports as ``mine_frequent``, from lists in place of stored occurrences."""
+    search = open_search(nodes, minsup, {"strategy": "lists", "lists": lists, **kw})
+    grow(search)
+    return finished(search, f"lists-{lists}")

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from canopy.mine import closed, surrogate
 from canopy.mine.engine import Counters, Mined, Options, Search
+from canopy.mine.liststore import ListSearch
 from canopy.mine.result import MiningResult
 
 
@@ -24,6 +25,14 @@ def options(nodes: DataFrame, minsup: float, kw: dict) -> Options:
     return Options(threshold(nodes, minsup), **kw)
 
 
+def open_search(nodes: DataFrame, minsup: float, kw: dict) -> Search:
+    """``strategy='tuples'`` stores occurrences, ``'lists'`` a list of images for each pattern node."""
+    chosen = options(nodes, minsup, kw)
+    if chosen.strategy not in ("tuples", "lists") or chosen.lists not in ("rows", "bitmap"):
+        raise ValueError("strategy is tuples or lists, lists is rows or bitmap")
+    return ListSearch(nodes, chosen) if chosen.strategy == "lists" else Search(nodes, chosen)
+
+
 def grow(search: Search, rule: str = "none", pruning: bool = False) -> None:
     """The level loop. With ``pruning``, members with a surrogate lose their subtree."""
     frequent, size = search.seed(), 2
@@ -84,14 +93,14 @@ def finished(search: Search, miner: str) -> MiningResult:
 
 def mine_frequent(nodes: DataFrame, minsup: float, **kw) -> MiningResult:
     """All frequent patterns; flags are not computed."""
-    search = Search(nodes, options(nodes, minsup, kw))
+    search = open_search(nodes, minsup, kw)
     grow(search)
     return finished(search, "frequent")
 
 
 def mine_postfilter(nodes: DataFrame, minsup: float, **kw) -> MiningResult:
     """All frequent patterns, then every one against every larger one: the definition."""
-    search = Search(nodes, options(nodes, minsup, kw))
+    search = open_search(nodes, minsup, kw)
     grow(search)
     at = time.perf_counter()
     found = search.reported()
@@ -120,17 +129,22 @@ def mine_eager(nodes: DataFrame, minsup: float, witness: str = "frequent", **kw)
     ``witness``: ``frequent`` compares with all frequent patterns (the
     definition), ``retained`` with the closed patterns retained so far.
     """
-    search = Search(nodes, options(nodes, minsup, kw))
+    search = open_search(nodes, minsup, kw)
     grow(search)
     flag_local(search, search.reported(), witness)
     return finished(search, "eager")
 
 
 def mine_pruned(nodes: DataFrame, minsup: float, rule: str = "uniform", allow_boundary: bool = False, **kw) -> MiningResult:
-    """The search space pruned by surrogates. With ``max_size``, pruning is off unless ``allow_boundary``."""
-    if kw.get("max_size") and not allow_boundary:
-        rule = "none"
-    search = Search(nodes, options(nodes, minsup, kw))
+    """The search space pruned by surrogates.
+
+    A pruned pattern has an equivalent one of one node more, which ``max_size``
+    may cut off, so both together raise an error. ``allow_boundary`` accepts
+    that patterns of ``max_size`` nodes can be missing.
+    """
+    if kw.get("max_size") and rule != "none" and not allow_boundary:
+        raise ValueError("pruning loses patterns of max_size nodes: leave out max_size, or pass allow_boundary=True")
+    search = open_search(nodes, minsup, kw)
     grow(search, rule, pruning=True)
     found = search.reported()
     for m in found:
@@ -158,8 +172,8 @@ def mine_constrained(nodes: DataFrame, minsup: float, forbidden: set[str] = froz
 
 def counters_frame(spark, results: list[tuple[str, MiningResult]]) -> DataFrame:
     """One row of counters for each run."""
-    rows = [(w, r.miner, r.search.options.minsup, *(int(asdict(r.counters)[k]) for k in ("computed", "freq", "lclosed", "lmax", "closed", "maximal", "occ_rows")), r.counters.seconds, r.counters.closed_seconds) for w, r in results]
-    return spark.createDataFrame(rows, "workload string, miner string, minsup long, computed long, freq long, lclosed long, lmax long, closed long, maximal long, occ_rows long, seconds double, closed_seconds double")
+    rows = [(w, r.miner, r.search.options.minsup, *(int(asdict(r.counters)[k]) for k in ("computed", "freq", "lclosed", "lmax", "closed", "maximal", "occ_rows", "stored_bytes")), r.counters.seconds, r.counters.closed_seconds) for w, r in results]
+    return spark.createDataFrame(rows, "workload string, miner string, minsup long, computed long, freq long, lclosed long, lmax long, closed long, maximal long, occ_rows long, stored_bytes long, seconds double, closed_seconds double")
 
 
 __all__ = ["Counters", "mine_constrained", "mine_eager", "mine_frequent", "mine_maximal", "mine_postfilter", "mine_pruned", "threshold"]

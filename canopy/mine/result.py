@@ -46,8 +46,8 @@ class MiningResult:
             raise ValueError("equal trees were merged: run with compress=False")
         keep = self.search.spark.createDataFrame([(m.id,) for m in self.search.reported()], "pattern_id long")
         out = None
-        for occ in self.search.occ.values():
-            part = occ.join(F.broadcast(keep), "pattern_id", "left_semi").select("pattern_id", "tree_id", F.posexplode("img").alias("pos", "begin")).select("pattern_id", "pos", "tree_id", "begin").distinct()
+        for size in self.search.occ:
+            part = self.search.lists(size).join(F.broadcast(keep), "pattern_id", "left_semi")
             out = part if out is None else out.union(part)
         return out
 

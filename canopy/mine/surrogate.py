@@ -45,12 +45,10 @@ class Pair:
 def find_candidates(search: Search, results: list[Mined]) -> list[Pair]:
     """Joins whose (prefix, y) parts are all of P_y's occurrences, with P_x before P_y."""
     place = {m.id: k for members in search.classes([search.mined[i] for i in {r.left for r in results} | {r.right for r in results}]).values() for k, m in enumerate(members)}
-    out = []
-    for q in results:
-        x, y = search.mined[q.left], search.mined[q.right]
-        if place[x.id] < place[y.id] and q.n_part == y.n_occ and y.n_occ:
-            out.append(Pair(x.id, y.id, q.id, q.kind))
-    return out
+    possible = [(q, search.mined[q.right]) for q in results if place[q.left] < place[q.right]]
+    if possible:
+        search.count_parts(possible[0][0].size, possible)
+    return [Pair(q.left, y.id, q.id, q.kind) for q, y in possible if q.n_part == y.n_occ and y.n_occ > 0]
 
 
 def shortcut(search: Search, pair: Pair) -> bool:
@@ -91,7 +89,8 @@ def decide(search: Search, size: int, results: list[Mined], pairs: list[Pair], r
 def occurrences_of(search: Search, size: int, ids: DataFrame, names: tuple[str, str], id_name: str) -> DataFrame:
     """(number, tree, prefix, two last images with their ends) of joins; ``ids(number, pattern_id)``."""
     a, b = names
-    occ = search.occ[size].join(F.broadcast(ids), "pattern_id")
+    wanted = sorted({r["pattern_id"] for r in ids.select("pattern_id").collect()})  # as many as there are pairs
+    occ = search.occurrences(size, wanted).join(F.broadcast(ids), "pattern_id")
     return occ.select(
         *(c for c in ids.columns if c != "pattern_id"),
         "tree_id",
@@ -168,8 +167,6 @@ def filters(search: Search, size: int, results: list[Mined], pairs: list[Pair],
     cousin: none of the (prefix, x) images with y beside may be on one path with z.
     """
     spark, by_join = search.spark, {(r.left, r.right, r.kind): r for r in results}
-    px = search.occ[size].select("pattern_id", "tree_id", F.slice("img", 1, size - 1).alias("px")).distinct()
-    swapped = search.occ[size].select("pattern_id", "tree_id", F.concat(F.slice("img", 1, size - 2), F.slice("img", size, 1)).alias("px")).distinct()
     asks, prefix_asks = [], []
     for n, p in enumerate(pairs):
         x, y = search.mined[p.x], search.mined[p.y]
@@ -185,6 +182,9 @@ def filters(search: Search, size: int, results: list[Mined], pairs: list[Pair],
             prefix_asks.append((n, z.id, y.id, z.id))
     if not asks:
         return set()
+    found = search.occurrences(size, sorted({i for a in asks for i in a[2:4] if i >= 0}))
+    px = found.select("pattern_id", "tree_id", F.slice("img", 1, size - 1).alias("px")).distinct()
+    swapped = found.select("pattern_id", "tree_id", F.concat(F.slice("img", 1, size - 2), F.slice("img", size, 1)).alias("px")).distinct()
     table = F.broadcast(spark.createDataFrame(asks, "n int, z long, pattern_id long, other long, kind string, side int"))
     base = px.join(table, "pattern_id").drop("pattern_id")
     others = px.withColumn("side", F.lit(0)).union(swapped.withColumn("side", F.lit(1))).withColumnRenamed("pattern_id", "other")
@@ -207,7 +207,7 @@ def same_prefix(search: Search, size: int, asks: list[tuple[int, int, int, int]]
     if not asks:
         return set()
     ids = sorted({i for a in asks for i in a[2:]})
-    own = search.occ[size - 1].where(F.col("pattern_id").isin(ids)).select("pattern_id", "tree_id", F.slice("img", 1, size - 2).alias("pre")).distinct()
+    own = search.occurrences(size - 1, ids).select("pattern_id", "tree_id", F.slice("img", 1, size - 2).alias("pre")).distinct()
     own = stage(own, "prefixes")
     counts = {r["pattern_id"]: r["n"] for r in own.groupBy("pattern_id").agg(F.count(F.lit(1)).alias("n")).collect()}
     table = F.broadcast(search.spark.createDataFrame(asks, "n int, z long, y_id long, z_id long"))

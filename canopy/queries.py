@@ -66,13 +66,8 @@ def encode_dialogue(spark, d):
     return sources.dialogue(spark, d).select(CODE)
 
 
-NAV_EDGES = f"""
-    e AS (SELECT user_id * 100000 + floor((epoch_us(ts::TIMESTAMP) / 1000000 - {4 * 24 * 3600}) / {WEEK})::BIGINT AS tree, event_id AS id, event_type AS label, epoch_us(ts::TIMESTAMP) AS o,
-          CASE event_type {' '.join(f"WHEN '{s}' THEN {k}" for k, s in enumerate(STAGES))} ELSE {len(STAGES)} END AS s FROM events),
-    up AS (SELECT tree, id, arg_max(pid, (po, pid)) AS parent FROM (
-             SELECT x.tree, x.id, y.id AS pid, y.o AS po FROM e x JOIN e y ON x.tree = y.tree AND y.s < x.s AND (y.o, y.id) < (x.o, x.id)) GROUP BY tree, id),
-    edges AS (SELECT e.tree, e.id, coalesce(up.parent, -1) AS parent, label, o FROM e LEFT JOIN up ON e.tree = up.tree AND e.id = up.id
-              UNION ALL SELECT DISTINCT tree, -1, NULL, 'visit', 0 FROM e)"""
+NAV = (STAGES, WEEK, sources.EPOCH)
+NAV_EDGES = O.navigation_edges(*NAV)
 
 
 @query("nav_edges", f"WITH {NAV_EDGES} SELECT tree, id, parent, label, o FROM edges")
@@ -89,32 +84,41 @@ def session_trees(spark, d):
     return nodes.groupBy("tree_id").agg(F.count(F.lit(1)).alias("n_nodes"), F.count_if(F.col("label") == "view").alias("n_view"), F.count_if(F.col("parent") == 0).alias("n_top"))
 
 
-@query("encode_nav")
+
+
+def encoded(edges: str) -> str:
+    return f"WITH RECURSIVE {edges}, {O.encoded()}"
+
+
+NAV_SQL, TEXT_SQL, DOM_SQL = map(encoded, (NAV_EDGES, O.text_edges(), O.dom_edges(sources.VOID)))
+
+
+@query("encode_nav", f"{NAV_SQL} SELECT {NODE_SQL} FROM nodes")
 def encode_nav(spark, d):
     return sources.navigation(spark, d).select(CODE)
 
 
-@query("encode_nav_gap_sessions")
+@query("encode_nav_gap_sessions", f"{encoded(O.navigation_edges(*NAV, gap_s=12 * 3600))} SELECT {NODE_SQL} FROM nodes")
 def encode_nav_gap(spark, d):
     return sources.navigation(spark, d, sessions="gap", gap="12 hours").select(CODE)
 
 
-@query("encode_supply")
+@query("encode_supply", f"WITH {O.supply()} SELECT {NODE_SQL} FROM nodes")
 def encode_supply(spark, d):
     return sources.supply(spark, d).select(CODE)
 
 
-@query("encode_text")
+@query("encode_text", f"{TEXT_SQL} SELECT {NODE_SQL} FROM nodes")
 def encode_text(spark, d):
     return sources.text(spark, d).select(CODE)
 
 
-@query("encode_dom")
+@query("encode_dom", f"{DOM_SQL} SELECT {NODE_SQL} FROM nodes")
 def encode_dom(spark, d):
     return sources.dom(spark, d).select(CODE)
 
 
-@query("sampled_forest")
+@query("sampled_forest", f"{encoded(O.navigation_edges(*NAV, keep=50))} SELECT {NODE_SQL} FROM nodes")
 def sampled_forest(spark, d):
     return sources.navigation(spark, d, keep=50).select(CODE)
 
@@ -139,7 +143,7 @@ def tree_stats_star(spark, d):
     return stats.describe(star(spark, d))
 
 
-@query("tree_stats_dom")
+@query("tree_stats_dom", DOM_SQL + STATS_SQL)
 def tree_stats_dom(spark, d):
     return stats.describe(stage(sources.dom(spark, d), "dom"))
 
@@ -209,7 +213,7 @@ def lowest_common_ancestor(spark, d):
 # structural joins and 2-patterns
 
 
-@query("ancestor_pairs", f"WITH {O.dialogue()}, {O.PAIRS} SELECT t AS tree_id, a, ae AS a_end, al AS a_label, d, de AS d_end, dl AS d_label FROM pairs")
+@query("ancestor_pairs", f"WITH {O.dialogue()}, {O.dialogue_pairs()} SELECT t AS tree_id, a, ae AS a_end, al AS a_label, d, de AS d_end, dl AS d_label FROM pairs")
 def ancestor_pairs(spark, d):
     return structural.ancestor_pairs(stage(sources.dialogue(spark, d), "dialogue"))
 
@@ -286,7 +290,10 @@ def twig_dialogue_chain(spark, d):
     return twig.roots(stage(sources.dialogue(spark, d), "dialogue"), "conv(user(assistant(user)))").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("twig_dom")
+@query("twig_dom", f"""{DOM_SQL}
+    SELECT 'p(p)' AS pattern, count(DISTINCT (t, a)) AS n FROM pairs WHERE al = 'p' AND dl = 'p'
+    UNION ALL SELECT 'body(article(p(b)))', count(DISTINCT (x.t, x.a)) FROM pairs x JOIN pairs y ON y.t = x.t AND y.a = x.d JOIN pairs z ON z.t = y.t AND z.a = y.d WHERE x.al = 'body' AND x.dl = 'article' AND y.dl = 'p' AND z.dl = 'b'
+    UNION ALL SELECT 'html(a,p)', count(DISTINCT (x.t, x.a)) FROM pairs x JOIN pairs y ON y.t = x.t AND y.a = x.a WHERE x.al = 'html' AND x.dl = 'a' AND y.dl = 'p' AND (x.de < y.d OR y.de < x.d)""")
 def twig_dom(spark, d):
     nodes = stage(sources.dom(spark, d), "dom")
     rows = [twig.roots(nodes, t).agg(F.lit(t).alias("pattern"), F.count(F.lit(1)).alias("n")) for t in ("p(p)", "body(article(p(b)))", "html(a,p)")]
@@ -391,9 +398,14 @@ def eager_k3_star(spark, d):
     return star3(miners.mine_eager, spark, d).result()
 
 
-@query("pruned_k3_star", ORACLES["postfilter_k3_star"])
-def pruned_k3_star(spark, d):
-    return star3(miners.mine_pruned, spark, d).result()
+@query("eager_lists_k3_star", STAR3.format(p=50) + " SELECT code, k, support, is_closed, is_maximal FROM flagged")
+def eager_lists_k3_star(spark, d):
+    return star3(miners.mine_eager, spark, d, 50, strategy="lists").result()
+
+
+@query("postfilter_bitmaps_k3_star", ORACLES["eager_lists_k3_star"])
+def postfilter_bitmaps_k3_star(spark, d):
+    return star3(miners.mine_postfilter, spark, d, 50, strategy="lists", lists="bitmap").result()
 
 
 @query("closed_k3_star", STAR3.format(p=30) + " SELECT code, k, support FROM flagged WHERE is_closed")
@@ -403,7 +415,73 @@ def closed_k3_star(spark, d):
 
 @query("maximal_k3_star", STAR3.format(p=30) + " SELECT code, k, support FROM flagged WHERE is_maximal")
 def maximal_k3_star(spark, d):
-    return star3(miners.mine_pruned, spark, d, 30).result().where("is_maximal").select("code", "k", "support")
+    return star3(miners.mine_eager, spark, d, 30).result().where("is_maximal").select("code", "k", "support")
+
+
+# full runs, without a size cap, where SQL can list all patterns: a line has two leaves, a part three
+
+LINE = f"WITH {O.star()}, {O.star_pairs(('line',))}, m AS (SELECT (count(*) + 99) // 100 AS n FROM lineitem), {O.small_patterns('(SELECT n FROM m)', ('line',))}"
+LINE_CLOSED = LINE + " SELECT code, k, support, is_maximal FROM flagged WHERE is_closed"
+#: Frequent labels come first, so a label that always has another beside it finds that as its surrogate.
+BESIDE = {"label_order": "frequency"}
+
+
+def line_run(miner: Callable, spark, d, **kw) -> result.MiningResult:
+    nodes = star(spark, d)
+    return miner(nodes, max(1, -(-spark.read.parquet(f"{d}/lineitem.parquet").count() // 100)), roots={"line"}, **BESIDE, **kw)
+
+
+def closed_of(r: result.MiningResult) -> DataFrame:
+    return r.result().where("is_closed").select("code", "k", "support", "is_maximal")
+
+
+@query("closed_full_line_postfilter", LINE_CLOSED)
+def closed_full_line_postfilter(spark, d):
+    return closed_of(line_run(miners.mine_postfilter, spark, d))
+
+
+@query("closed_full_line_eager", LINE_CLOSED)
+def closed_full_line_eager(spark, d):
+    return closed_of(line_run(miners.mine_eager, spark, d))
+
+
+@query("closed_full_line_pruned", LINE_CLOSED)
+def closed_full_line_pruned(spark, d):
+    return closed_of(line_run(miners.mine_pruned, spark, d))
+
+
+@query("closed_full_line_pruned_lists", LINE_CLOSED)
+def closed_full_line_pruned_lists(spark, d):
+    return closed_of(line_run(miners.mine_pruned, spark, d, strategy="lists", lists="bitmap"))
+
+
+@query("maximal_full_line", LINE + " SELECT code, k, support FROM flagged WHERE is_maximal")
+def maximal_full_line(spark, d):
+    nodes, kw = star(spark, d), {"roots": {"line"}, **BESIDE}
+    return miners.mine_maximal(nodes, max(1, -(-spark.read.parquet(f"{d}/lineitem.parquet").count() // 100)), **kw).select("code", "k", "support")
+
+
+@query("surrogates_full_line", LINE + """, leaves AS (SELECT dl, count(*) AS n FROM pairs GROUP BY dl), beside AS (SELECT p.dl AS x, q.dl AS y, count(*) AS n FROM pairs p JOIN pairs q ON p.t = q.t AND p.a = q.a AND p.dl != q.dl GROUP BY p.dl, q.dl),
+    place AS (SELECT label, count(*) AS n FROM nodes GROUP BY label)
+    SELECT DISTINCT 'line(' || b.y || ')' AS code FROM beside b JOIN leaves l ON l.dl = b.y AND l.n = b.n JOIN place px ON px.label = b.x JOIN place py ON py.label = b.y WHERE (-px.n, b.x) < (-py.n, b.y) AND b.n >= (SELECT n FROM m)""")
+def surrogates_full_line(spark, d):
+    """The 2-patterns that the pruned miner drops: a label beside which a more frequent one always stands."""
+    r = line_run(miners.mine_pruned, spark, d)
+    return spark.createDataFrame([(r.search.code(m),) for m in r.search.mined.values() if m.pruned_by and m.size == 2], "code string")
+
+
+GOODS = f"""WITH {O.supply()}, v AS (SELECT n, s, p, [brand, kind, size] AS leaves FROM goods),
+    sets AS (SELECT n, s, p, list_sort(unnest([[leaves[1]], [leaves[2]], [leaves[3]], [leaves[1], leaves[2]], [leaves[1], leaves[3]], [leaves[2], leaves[3]], leaves])) AS x FROM v),
+    frequent AS (SELECT x, count(*) AS support FROM sets GROUP BY x HAVING count(*) >= (SELECT (count(*) + 49) // 50 FROM goods))
+    SELECT 'part(' || array_to_string(x, ',') || ')' AS code, len(x)::INT + 1 AS k, support, NOT EXISTS (SELECT 1 FROM frequent g WHERE len(g.x) > len(f.x) AND list_has_all(g.x, f.x)) AS is_maximal FROM frequent f
+    WHERE NOT EXISTS (SELECT 1 FROM frequent g WHERE len(g.x) > len(f.x) AND list_has_all(g.x, f.x) AND g.support = f.support)"""
+
+
+@query("closed_full_supply_pruned", GOODS)
+def closed_full_supply_pruned(spark, d):
+    nodes = stage(sources.supply(spark, d), "supply")
+    n = nodes.where("label = 'part'").count()
+    return closed_of(miners.mine_pruned(nodes, -(-n // 50), roots={"part"}, **BESIDE))
 
 
 def dialogue3(miner: Callable, spark, d, **kw) -> result.MiningResult:
@@ -441,7 +519,16 @@ INDUCED3 = f"""WITH {O.star()}, e AS (SELECT u.tree_id t, u."begin" a, u.label a
     UNION ALL SELECT p.al || '(' || p.dl || ',' || q.dl || ')', 3, count(DISTINCT (p.t, p.a)) FROM e p JOIN e q ON p.t = q.t AND p.a = q.a AND p.dl <= q.dl AND p.d != q.d GROUP BY p.al, p.dl, q.dl HAVING count(DISTINCT (p.t, p.a)) >= (SELECT n FROM m)"""
 
 
-@query("induced_k3_star")
+INDUCED_FLAGS = f"""WITH {O.star()}, e AS (SELECT u.tree_id t, u."begin" a, u.label al, v."begin" d, v.label dl FROM nodes u JOIN nodes v ON u.tree_id = v.tree_id AND v.parent = u."begin"), m AS (SELECT (count(*) * 30 + 99) // 100 AS n FROM orders),
+    two AS (SELECT al || '(' || dl || ')' AS code, count(DISTINCT (t, a)) AS support FROM e GROUP BY al, dl HAVING count(DISTINCT (t, a)) >= (SELECT n FROM m)),
+    chain AS (SELECT p.al x, p.dl y, q.dl z, count(DISTINCT (p.t, p.a)) AS support FROM e p JOIN e q ON p.t = q.t AND p.d = q.a GROUP BY p.al, p.dl, q.dl HAVING count(DISTINCT (p.t, p.a)) >= (SELECT n FROM m)),
+    fork AS (SELECT p.al x, p.dl y, q.dl z, count(DISTINCT (p.t, p.a)) AS support FROM e p JOIN e q ON p.t = q.t AND p.a = q.a AND p.dl <= q.dl AND p.d != q.d GROUP BY p.al, p.dl, q.dl HAVING count(DISTINCT (p.t, p.a)) >= (SELECT n FROM m)),
+    inside AS (SELECT x || '(' || y || ')' AS p, support FROM chain UNION ALL SELECT y || '(' || z || ')', support FROM chain UNION ALL SELECT x || '(' || y || ')', support FROM fork UNION ALL SELECT x || '(' || z || ')', support FROM fork)
+    SELECT code, 2 AS k, support, NOT EXISTS (SELECT 1 FROM inside i WHERE p = code AND i.support = two.support) AS is_closed, NOT EXISTS (SELECT 1 FROM inside WHERE p = code) AS is_maximal FROM two
+    UNION ALL SELECT x || '(' || y || '(' || z || '))', 3, support, true, true FROM chain UNION ALL SELECT x || '(' || y || ',' || z || ')', 3, support, true, true FROM fork"""
+
+
+@query("induced_k3_star", INDUCED_FLAGS)
 def induced_k3_star(spark, d):
     return mine_induced(star(spark, d), order_minsup(spark, d, 30), max_size=3).result()
 
@@ -459,16 +546,16 @@ def closed_by_support_k3_star(spark, d):
     return spark.createDataFrame([(r.search.code(m),) for m in r.search.reported() if m.id in keep], "code string")
 
 
-@query("constrained_text")
+@query("constrained_text", f"{TEXT_SQL}, {O.small_patterns(3, ('doc',))} SELECT code, k, support, is_closed, is_maximal FROM flagged WHERE code LIKE '%toxic=1%'")
 def constrained_text(spark, d):
     nodes = stage(sources.text(spark, d), "text")
     return miners.mine_constrained(nodes, 3, required={"toxic=1"}, root="doc", max_size=3, max_depth=2).select("code", "k", "support", "is_closed", "is_maximal")
 
 
-@query("onestep_k3_star")
+@query("onestep_k3_star", STAR3.format(p=40) + " SELECT code, is_closed, is_maximal FROM flagged")
 def onestep_k3_star(spark, d):
     r = star3(mine_onestep, spark, d, 40)
-    return spark.createDataFrame([(r.generated, r.distinct, len(r.closed), len(r.maximal))], "generated long, distinct_patterns long, closed long, maximal long")
+    return spark.createDataFrame([(c, c in r.closed, c in r.maximal) for c in sorted(r.result.codes())], "code string, is_closed boolean, is_maximal boolean")
 
 
 # surrogates
@@ -531,11 +618,12 @@ def counters_dom(spark, d):
     return miners.counters_frame(spark, runs).drop("seconds", "closed_seconds")
 
 
-@query("witness_modes_dialogue")
+@query("witness_modes_dialogue", f"WITH {O.dialogue()}, {O.PAIRS}, {O.small_patterns(70)} SELECT code, 'both' AS side FROM flagged WHERE is_closed")
 def witness_modes_dialogue(spark, d):
+    """Up to three nodes, no witness can be evicted, so both modes agree; a test has an input on which they do not."""
     nodes = stage(sources.dialogue(spark, d), "dialogue")
-    a = miners.mine_eager(nodes, 70, max_size=4).result().where("is_closed")
-    b = miners.mine_eager(nodes, 70, witness="retained", max_size=4).result().where("is_closed")
+    a = miners.mine_eager(nodes, 70, max_size=3).result().where("is_closed")
+    b = miners.mine_eager(nodes, 70, witness="retained", max_size=3).result().where("is_closed")
     return result.agreement(a, b)
 
 
@@ -586,7 +674,7 @@ def minsup_ladder(spark, d):
     return spark.createDataFrame(rows, "percent int, n_frequent long")
 
 
-@query("result_hierarchy")
+@query("result_hierarchy", STAR3.format(p=40) + " SELECT DISTINCT p AS smaller, q AS larger FROM inside JOIN flagged f ON f.code = p AND f.is_closed")
 def result_hierarchy(spark, d):
     codes = star3(miners.mine_eager, spark, d, 40).codes("closed")
     return spark.createDataFrame(result.hierarchy(codes), "smaller string, larger string")
@@ -629,7 +717,9 @@ def window_session(spark, d):
     return sessions.sessions(events(spark, d), "12 hours").select("user_id", F.unix_micros("start").alias("start_us"), F.col("n").cast("long").alias("n"))
 
 
-@query("session_pair_counts")
+@query("session_pair_counts", f"""{encoded(O.session_edges(STAGES, 12 * 3600))}
+    SELECT label AS anc_label, '' AS desc_label, count(*) AS support FROM nodes GROUP BY label
+    UNION ALL SELECT al, dl, count(DISTINCT (t, a)) FROM pairs GROUP BY al, dl""")
 def session_pair_counts(spark, d):
     pairs = sessions.session_pairs(sessions.sessions(events(spark, d), "12 hours"))
     return pairs.groupBy("anc_label", "desc_label").agg(F.sum("support").alias("support"))

@@ -16,7 +16,7 @@ _kept: dict[tuple, tuple] = {}
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir`` of the session, or a folder in its warehouse."""
+    """``spark.checkpoint.dir`` of the session, or a folder in its warehouse, which all executors share as well."""
     folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     return (folder or f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/_canopy").rstrip("/")
 
@@ -32,7 +32,18 @@ def stage(df: DataFrame, name: str = "stage", compression: str = "snappy") -> Da
     spark = df.sparkSession
     path = fresh_path(spark, name)
     df.write.option("compression", compression).parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.staged_at = path
+    return out
+
+
+def stored_bytes(df: DataFrame) -> int:
+    """The size of a table that ``stage`` has written; 0 for any other."""
+    path = getattr(df, "staged_at", None)
+    if path is None:
+        return 0
+    target = df.sparkSession.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return int(target.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).getContentSummary(target).getLength())
 
 
 def changed_at(spark: SparkSession, path: str) -> int:
