@@ -9,7 +9,8 @@ in a sample of the documents come last in it, which keeps the lists short.
 A document goes if a smaller id is similar, so one such id settles it. Lists are
 first checked against their smallest member, round by round, which settles groups
 of near copies without forming their pairs; then what is open is checked against
-the smaller members left. Every candidate is verified on whole sets.
+the smaller members left. A quarter of the shingles rules most candidates out; what is left is verified on
+whole sets.
 """
 
 from __future__ import annotations
@@ -28,7 +29,7 @@ from canopy.storage import stage
 #: Words of a shingle, and the least similarity as a fraction.
 SHINGLE, NUM, DEN, SEED = 5, 4, 5, 42
 #: For the order only: documents of the sample, copies in it that make a shingle common, and how many are kept.
-SAMPLE, COMMON, ORDERED = 20_000, 8, 200_000
+SAMPLE, COMMON, ORDERED = 10_000, 2, 200_000
 #: Rounds against single members go on while they drop one in so many documents of the lists.
 WORTH = 20
 MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
@@ -158,16 +159,40 @@ def fitting(open_: DataFrame, others: DataFrame) -> DataFrame:
     return stage(both.select("a", F.col("id").alias("b")).distinct(), "candidates")
 
 
-def similar(docs: DataFrame, pairs: DataFrame, size: int) -> DataFrame:
+def quarters(docs: DataFrame, size: int) -> DataFrame:
+    """``(id, n, part)`` of every document: its number of shingles, and a quarter of them, chosen by hash, in 32 bits."""
+
+    def make():
+        def step(ids: list, texts: list) -> Iterator[tuple]:
+            for key, text in zip(ids, texts):
+                found = shingles(text, size)
+                if len(found):
+                    yield key, len(found), (found[found & 3 == 0] >> 32).astype(np.int32)
+
+        return step
+
+    return stage(arrow_map(docs.select("id", "text"), make, "id long, n int, part array<int>"), "quarters")
+
+
+def possible(pairs: DataFrame, parts: DataFrame) -> DataFrame:
+    """The pairs that their quarters do not rule out: what a quarter lacks in common is lacking in the whole."""
+    left, right = parts.toDF("a", "na", "pa"), parts.toDF("b", "nb", "pb")
+    both = pairs.join(left, "a").join(right, "b")
+    most = F.size(F.array_intersect("pa", "pb")) + F.least(F.col("na") - F.size(F.array_distinct("pa")), F.col("nb") - F.size(F.array_distinct("pb")))
+    return stage(both.where(most * (NUM + DEN) >= NUM * (F.col("na") + F.col("nb"))).select("a", "b").distinct(), "possible")
+
+
+def similar(docs: DataFrame, pairs: DataFrame, parts: DataFrame, size: int) -> DataFrame:
     """The pairs whose whole sets are similar."""
 
     def make():
         def step(ids: list, texts: list) -> Iterator[tuple]:
             for key, text in zip(ids, texts):
-                yield key, shingles(text, size).tolist()
+                yield key, shingles(text, size)
 
         return step
 
+    pairs = possible(pairs, parts)
     asked = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
     sets = stage(arrow_map(docs.join(asked, "id", "left_semi").select("id", "text"), make, "id long, s array<long>"), "sets")
     both = pairs.join(sets.toDF("a", "sa"), "a").join(sets.toDF("b", "sb"), "b")
@@ -181,10 +206,10 @@ def repeats(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
     no part.
     """
     docs = docs.where("id IS NOT NULL")
-    shared, gone = stage(members(docs, size).withColumn("open", F.lit(True)), "members"), None
+    shared, gone, parts = stage(members(docs, size).withColumn("open", F.lit(True)), "members"), None, quarters(docs, size)
     while True:
         pivot = stage(shared.groupBy("key").agg(F.min(F.struct("id", "n")).alias("p")).select("key", F.col("p.id").alias("a"), F.col("p.n").alias("m")), "pivots")
-        found = stage(similar(docs, fitting(shared, pivot), size).select(F.col("b").alias("id")).distinct(), "repeats")
+        found = stage(similar(docs, fitting(shared, pivot), parts, size).select(F.col("b").alias("id")).distinct(), "repeats")
         gone = found if gone is None else gone.union(found)
         dropped, held = found.count(), shared.where("open").select("id").distinct().count()
         # a pivot has met the rest of its list
@@ -192,7 +217,7 @@ def repeats(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
         shared = stage(rest.select("key", "id", "n", (F.col("open") & F.col("found").isNull()).alias("open")), "members")
         if dropped * WORTH <= held:
             break
-    rest = similar(docs, fitting(shared, shared.select("key", F.col("id").alias("a"), F.col("n").alias("m"))), size).select(F.col("b").alias("id"))
+    rest = similar(docs, fitting(shared, shared.select("key", F.col("id").alias("a"), F.col("n").alias("m"))), parts, size).select(F.col("b").alias("id"))
     return stage(gone.union(rest).distinct(), "repeats")
 
 
