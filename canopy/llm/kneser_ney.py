@@ -42,8 +42,8 @@ PRUNED = 2
 WORDS, CODED, DOCUMENTS = 250_000, 1 << 24, 50_000
 # fixed values: no word holds these
 START, END = " ", "\n"
-#: Words of evidence that the language's median counts as, and the band's reach.
-PRIOR, REACH = 40, 2.5
+#: Words of evidence that the language's median counts as, the band's reach, and the least share of the median that it reaches.
+PRIOR, REACH, FLOOR = 40, 2.5, 0.02
 SYMBOLS = "#*$%&|<>"
 LEAST_WORDS, MOST_REPEATED = 10, 20
 MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
@@ -96,6 +96,15 @@ def repeated_words(words: list[bytes], size: int = 5) -> int:
     same = windows[order][1:] == windows[order][:-1]
     if not same.any():
         return 0
+    number: dict[bytes, int] = {}
+    ids = np.fromiter((number.setdefault(w, len(number)) for w in words), np.int64, len(words))
+    a, b = order[:-1][same], order[1:][same]
+    if any((ids[a + k] != ids[b + k]).any() for k in range(size)):  # different windows of one hash: number them instead
+        windows = ids[:n]
+        for k in range(1, size):
+            windows = np.unique(windows * len(number) + ids[k : k + n], return_inverse=True)[1]
+        order = np.argsort(windows, kind="stable")
+        same = windows[order][1:] == windows[order][:-1]
     twice = np.zeros(n, bool)
     twice[order[1:][same]] = True
     twice[order[:-1][same]] = True
@@ -117,7 +126,7 @@ def base_measures(text: bytes, words: list[bytes]) -> tuple[int, int, int, int]:
     return chars, sum(map(text.count, (s.encode() for s in SYMBOLS))), n_lines - len(lines), repeated_words(words)
 
 
-MEASURED = "doc_id long, lang string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long"
+MEASURED = "doc_id long, lang string, text_hash long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long"
 MEASURES = f"{MEASURED}, log_perplexity double"
 #: A row is a document (``body``) or a block (``words`` and its n-grams by sorted hash).
 CODED_ROWS = f"block long, {MEASURED}, body binary, words binary, gram array<string>, n array<long>"
@@ -202,13 +211,13 @@ def code(docs: DataFrame, text_col: str = "text") -> DataFrame:
         number, block, rows = TaskContext.get().partitionId() << 32, Block(), []
 
         def close() -> tuple:
-            return (number, *[None] * 8, zstandard.compress(b"\n".join(block.number)), *block.grams())
+            return (number, *[None] * 9, zstandard.compress(b"\n".join(block.number)), *block.grams())
 
         for batch in batches:
             for part in parts(batch):
-                for doc_id, lang, text in zip(*(c.to_pylist() for c in part.columns)):
+                for doc_id, lang, text_hash, text in zip(*(c.to_pylist() for c in part.columns)):
                     words = text.split()
-                    rows.append((number, doc_id, lang, len(words), *base_measures(text, words), block.add(words), None, None, None))
+                    rows.append((number, doc_id, lang, text_hash, len(words), *base_measures(text, words), block.add(words), None, None, None))
                     if block.full():
                         rows.append(close())
                         number, block = number + 1, Block()
@@ -220,7 +229,7 @@ def code(docs: DataFrame, text_col: str = "text") -> DataFrame:
         if rows:
             yield to_batch(rows, fields)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), text_bytes(text_col)).mapInArrow(run, CODED_ROWS)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.xxhash64(text_col).alias("text_hash"), text_bytes(text_col)).mapInArrow(run, CODED_ROWS)
 
 
 def count_grams(coded: DataFrame) -> DataFrame:
@@ -317,15 +326,16 @@ def measures(docs: DataFrame, reference: DataFrame | None = None) -> DataFrame:
         counted = corpus.union(counted.withColumn("n", F.lit(0).cast("long"))).groupBy("gram").agg(F.sum("n").alias("n"))
     model = train(counted)
     wanted = coded.where("words IS NOT NULL").select("block", F.posexplode("gram").alias("k", "gram"))
-    known = wanted.join(model, "gram").groupBy("block").agg(F.array_sort(F.collect_list(F.struct("k", "logp"))).alias("known"))
-    blocks = coded.where("words IS NOT NULL").select("block", "words").join(known, "block", "left").select("block", "words", "known.logp")
+    known = wanted.join(model, "gram").select("block", F.col("k").cast("int").alias("k"), F.col("logp").cast("float").alias("logp"), F.lit(None).cast("binary").alias("words"))
+    blocks = coded.where("words IS NOT NULL").select("block", F.lit(-1).alias("k"), F.lit(0.0).cast("float").alias("logp"), "words").unionByName(known)
     fields = to_arrow_schema(StructType.fromDDL(MEASURES))
 
     def score(rows: pa.Table, block: pa.Table) -> pa.Table:
         import zstandard
 
-        words = zstandard.decompress(block.column("words")[0].as_py()).split(b"\n")
-        each = word_scores([w for w in words if w], block.column("logp").combine_chunks().flatten().to_numpy())
+        place, found = block.column("k").to_numpy(), block.column("logp").to_numpy()
+        words = zstandard.decompress(block.column("words").drop_null()[0].as_py()).split(b"\n")
+        each = word_scores([w for w in words if w], found[np.argsort(place)][1:].astype(np.float64))  # the words' own row is first
         logp = []
         for body in rows.column("body").to_pylist():
             ids, counts = unpack(body)
@@ -337,9 +347,15 @@ def measures(docs: DataFrame, reference: DataFrame | None = None) -> DataFrame:
 
 
 def bands(measured: DataFrame, reach: float = REACH) -> DataFrame:
-    """Per language: median and the lower and upper bound of the shrunken log-perplexity."""
-    quarters = measured.where("n_words > 0").groupBy("lang").agg(F.percentile_approx("log_perplexity", F.array(F.lit(0.25), F.lit(0.5), F.lit(0.75)), 10_000).alias("q"))
-    margin = F.lit(reach) * F.greatest(F.col("q")[2] - F.col("q")[0], F.lit(0.01))
+    """Per language: median and the lower and upper bound of the shrunken log-perplexity.
+
+    Every text counts once, however many copies it has. A band reaches at least
+    ``FLOOR`` of the median beyond the quartiles, so near copies of one text
+    cannot close it around themselves.
+    """
+    texts = measured.where("n_words > 0").groupBy("lang", "text_hash").agg(F.min("log_perplexity").alias("log_perplexity"))
+    quarters = texts.groupBy("lang").agg(F.percentile_approx("log_perplexity", F.array(F.lit(0.25), F.lit(0.5), F.lit(0.75)), 10_000).alias("q"))
+    margin = F.greatest(F.lit(reach) * (F.col("q")[2] - F.col("q")[0]), F.lit(FLOOR) * F.col("q")[1])
     return quarters.select("lang", F.col("q")[1].alias("mid"), (F.col("q")[0] - margin).alias("low"), (F.col("q")[2] + margin).alias("high"))
 
 
