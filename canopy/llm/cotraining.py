@@ -1,31 +1,39 @@
 """Quality classifier by co-training of a text view and a page-metadata view.
 
 Two logistic models see different columns of a document: one its text, the
-other its language, source and length. Over some rounds, each labels the
-unlabelled documents it is most sure of, and the other learns from them. Then
-each view is calibrated on held-out labelled rows (a fitted slope and offset,
-so that a view without information ends near the prior), and the views' log
-odds are added, counting the prior once.
+other its language, source and length. The views of all rows are written once.
+Over some rounds, both models judge every unlabelled row; each labels those it
+is confident of by its calibrated probability, and the other learns from the
+most confident different ones. Calibration is on held-out labelled rows (a
+fitted slope and offset, so that a view without information stays near the
+prior, and teaches nothing). At the end the views' log odds are added, counting
+the prior once.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections import defaultdict
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 from zlib import crc32
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from canopy.arrow import Shared, arrow_map
+from canopy.arrow import Shared, arrow_map, to_batch
 from canopy.llm.features import hashed_ngrams, shape
+from canopy.storage import stage
 
 NGRAMS, META = 512, 256
-#: Bounds on the rows the models are fitted on: labelled ones, and unlabelled ones to pseudo-label.
-LABELLED, POOL = 6000, 4000
-ROUNDS, SURE_SHARE, THRESHOLD = 4, 0.1, 0.5
+#: Bounds on the rows the models are fitted on: labelled ones, and pseudo-labelled ones of a view, label and round.
+LABELLED, TAUGHT = 6000, 400
+#: A row is confident if its calibrated probability of either label is so high.
+ROUNDS, CONFIDENT, THRESHOLD = 3, 0.9, 0.5
+TEXT = NGRAMS + len(shape(b"", []))
+SURE = pa.schema([("view", pa.int32()), ("label", pa.int32()), ("odds", pa.float64()), ("code", pa.int64()), ("x", pa.binary())])
 
 
 def text_view(text: str | None) -> np.ndarray:
@@ -66,89 +74,132 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-3, steps: int = 12)
     return Linear(w[:-1].astype(np.float32), float(w[-1]))
 
 
-def sure(odds: np.ndarray, share: float) -> tuple[np.ndarray, np.ndarray]:
-    """Rows of the largest and the smallest odds, in the proportion of their signs."""
-    good = int(np.ceil(share * (odds > 0).sum()))
-    bad = int(np.ceil(share * (odds <= 0).sum()))
-    order = np.argsort(-odds, kind="stable")
-    return order[:good], order[len(order) - bad :]
-
-
 @dataclass
 class CoTrained:
     views: list[Linear]
     scale: list[tuple[float, float]]
     prior: float
 
+    def calibrated(self, xs: list[np.ndarray]) -> list[np.ndarray]:
+        return [a * v.odds(x) + b for v, x, (a, b) in zip(self.views, xs, self.scale)]
+
     def log_odds(self, xs: list[np.ndarray]) -> np.ndarray:
-        parts = [a * v.odds(x) + b for v, x, (a, b) in zip(self.views, xs, self.scale)]
+        parts = self.calibrated(xs)
         return np.sum(parts, axis=0) - (len(parts) - 1) * self.prior
 
 
-def co_train(xs: list[np.ndarray], y: np.ndarray, pool: list[np.ndarray], rounds: int = ROUNDS, share: float = SURE_SHARE) -> CoTrained:
-    """Every fifth labelled row is held out for calibration."""
-    fit, held = np.arange(len(y)) % 5 != 0, np.arange(len(y)) % 5 == 0
-    data, target = [x[fit] for x in xs], [y[fit].astype(float)] * 2
-    free = np.arange(len(pool[0]))
-    views = [logistic(x, t) for x, t in zip(data, target)]
-    for _ in range(rounds):
-        if not len(free):
-            break
-        taken = np.zeros(len(free), bool)
-        for me, other in ((0, 1), (1, 0)):
-            odds = views[me].odds(pool[me][free])
-            if np.ptp(odds) < 1:  # a view that cannot tell rows apart teaches nothing
-                continue
-            good, bad = sure(odds, share)
-            chosen, labels = np.concatenate([good, bad]), np.r_[np.ones(len(good)), np.zeros(len(bad))]
-            data[other] = np.vstack([data[other], pool[other][free[chosen]]])
-            target[other] = np.concatenate([target[other], labels])
-            taken[chosen] = True
-        free = free[~taken]
-        views = [logistic(x, t) for x, t in zip(data, target)]
-    rate = float(np.clip(y.mean(), 1e-3, 1 - 1e-3))
+@dataclass
+class Labelled:
+    """Rows with their views and labels; every fifth given label is held out for calibration."""
+
+    xs: list[np.ndarray]
+    y: np.ndarray
+
+    @property
+    def held(self) -> np.ndarray:
+        return np.arange(len(self.y)) % 5 == 0
+
+
+def calibrated(views: list[Linear], rows: Labelled) -> CoTrained:
+    """The views with a slope and an offset each, fitted on the rows held out."""
+    rate = float(np.clip(rows.y.mean(), 1e-3, 1 - 1e-3))
     scale = []
-    for v, x in zip(views, xs):
-        line = logistic(v.odds(x[held])[:, None].astype(np.float32), y[held].astype(float))
+    for v, x in zip(views, rows.xs):
+        line = logistic(v.odds(x[rows.held])[:, None].astype(np.float32), rows.y[rows.held].astype(float))
         scale.append((max(float(line.weights[0]), 0.0), line.offset))
     return CoTrained(views, scale, float(np.log(rate / (1 - rate))))
 
 
+def co_train(rows: Labelled, teach: Callable[[CoTrained], list[tuple[np.ndarray, np.ndarray]]], rounds: int = ROUNDS) -> CoTrained:
+    """``teach`` returns, for each view, the other view's rows of what it is confident of, and their labels.
+
+    A row that both label anew in a later round counts with its newest labels only.
+    """
+    fit = ~rows.held
+    own = [(x[fit], rows.y[fit].astype(float)) for x in rows.xs]
+    model = calibrated([logistic(x, t) for x, t in own], rows)
+    for _ in range(rounds):
+        taught = teach(model)
+        if not any(len(t) for _, t in taught):
+            break
+        # what view 0 is sure of teaches view 1, and the other way round
+        views = [logistic(np.vstack([x, more]), np.concatenate([t, labels])) for (x, t), (more, labels) in zip(own, taught[::-1])]
+        model = calibrated(views, rows)
+    return model
+
+
+def confident(views: DataFrame, model: CoTrained, most: int = TAUGHT, least: float = CONFIDENT) -> list[tuple[np.ndarray, np.ndarray]]:
+    """For each view, the other view's rows of the ``most`` different rows it is surest of, by label.
+
+    All unlabelled rows are judged where they lie; a task returns its best ones.
+    """
+    shared = Shared(views.sparkSession, model)
+    bar = float(np.log(least / (1 - least)))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        best: dict[tuple[int, int], dict[int, tuple]] = defaultdict(dict)
+        for batch in batches:
+            xs = [np.frombuffer(b"".join(c.to_pylist()), np.float16).reshape(batch.num_rows, -1).astype(np.float32) for c in batch.columns[1:]]
+            for v, odds in enumerate(shared.value.calibrated(xs)):
+                for k in np.flatnonzero(np.abs(odds) >= bar).tolist():
+                    mine = best[v, int(odds[k] > 0)]
+                    other = batch.column(2 - v)[k].as_py()
+                    mine[crc32(other)] = (float(abs(odds[k])), crc32(other), other)
+                    if len(mine) > 4 * most:
+                        best[v, int(odds[k] > 0)] = {x[1]: x for x in sorted(mine.values(), reverse=True)[:most]}
+        rows = [(v, y, *x) for (v, y), mine in best.items() for x in sorted(mine.values(), reverse=True)[:most]]
+        yield to_batch(rows, SURE)
+
+    found = stage(views.where("quality IS NULL").select("doc_id", "text_x", "meta_x").mapInArrow(run, "view int, label int, odds double, code long, x binary").dropDuplicates(["view", "label", "code"]), "confident")
+    out = []
+    for v in range(2):
+        part = [r for y in (0, 1) for r in found.where(f"view = {v} AND label = {y}").orderBy(F.desc("odds"), "code").limit(most).collect()]
+        x = np.array([np.frombuffer(r["x"], np.float16) for r in part], np.float32).reshape(len(part), META if v == 0 else TEXT)
+        out.append((x, np.array([float(r["label"]) for r in part])))
+    return out
+
+
 def smallest(ids: DataFrame, n: int) -> DataFrame:
     """The n ids of the smallest hashes: a fixed, even choice."""
     return ids.orderBy(F.xxhash64("doc_id"), "doc_id").limit(n)
 
 
-def train(docs: DataFrame, labels: DataFrame, labelled: int = LABELLED, pool: int = POOL) -> CoTrained | None:
-    """Fit on at most ``labelled`` labelled and ``pool`` other rows, with their whole texts.
-
-    None if the labelled rows hold fewer than ten of either class.
-    """
-    ids = docs.where("doc_id IS NOT NULL").select("doc_id").distinct()
-    known = labels.where("quality IS NOT NULL").groupBy("doc_id").agg(F.max("quality").alias("quality"))
-    known_ids = known.join(ids, "doc_id", "left_semi")
-    some = smallest(known_ids, labelled).unionByName(smallest(ids.join(known, "doc_id", "left_anti"), pool).withColumn("quality", F.lit(None).cast("int")))
-    chosen = {r["doc_id"]: r["quality"] for r in some.collect()}  # at most labelled + pool ids
-    if not chosen:
-        return None
-    shared = Shared(docs.sparkSession, chosen)
+def viewed(docs: DataFrame, quality: dict[int, int]) -> DataFrame:
+    """Both views of every row, written, with the label of the ids in ``quality`` (of bounded size)."""
+    shared = Shared(docs.sparkSession, quality)
 
     def make():
+        known = shared.value
+
         def step(ids: list, texts: list, langs: list, sources: list, sizes: list) -> Iterator[tuple]:
-            for doc_id, text, lang, source, size in zip(ids, texts, langs, sources, sizes):
-                if doc_id in shared.value:
-                    yield doc_id, text_view(text).tobytes(), meta_view(lang, source, size).tobytes()
+            for doc_id, text, *meta in zip(ids, texts, langs, sources, sizes):
+                yield doc_id, known.get(doc_id), text_view(text).astype(np.float16).tobytes(), meta_view(*meta).astype(np.float16).tobytes()
 
         return step
 
-    got = {r["doc_id"]: r for r in arrow_map(view_columns(docs), make, "doc_id long, text_x binary, meta_x binary").collect()}
-    order = sorted(got, key=lambda k: crc32(str(k).encode()))
-    rows = [[got[k] for k in order if (chosen[k] is None) == missing] for missing in (False, True)]
-    y = np.array([int(chosen[r["doc_id"]] > 0) for r in rows[0]], np.int64)
-    if min(int((y == v).sum()) for v in (0, 1)) < 10:
+    return stage(arrow_map(view_columns(docs), make, "doc_id long, quality int, text_x binary, meta_x binary"), "views", "zstd")
+
+
+def train(docs: DataFrame, labels: DataFrame, labelled: int = LABELLED, taught: int = TAUGHT) -> CoTrained | None:
+    """Fit on at most ``labelled`` labelled rows and, in a round, ``taught`` confident ones of each view and label.
+
+    Whole texts count, and all unlabelled rows are judged in every round. Rows that repeat a labelled doc_id are
+    one row, that of the smallest views. None if the labelled rows hold fewer than ten of either class.
+    """
+    known = labels.where("quality IS NOT NULL AND doc_id IS NOT NULL").groupBy("doc_id").agg(F.max("quality").alias("quality"))
+    here = known.join(docs.select("doc_id").distinct(), "doc_id", "left_semi")
+    quality = {r["doc_id"]: r["quality"] for r in smallest(here, labelled).collect()}
+    if min(sum(q > 0 for q in quality.values()), sum(q <= 0 for q in quality.values())) < 10:
         return None
-    views = [[np.array([np.frombuffer(r[c], np.float32) for r in part], np.float32).reshape(len(part), -1) for c in ("text_x", "meta_x")] for part in rows]
-    return co_train(views[0], y, views[1] if rows[1] else [x[:0] for x in views[0]])
+    views = viewed(docs, quality)
+    got: dict[int, tuple] = {}
+    for r in views.where("quality IS NOT NULL").collect():  # at most ``labelled`` ids
+        mine = (r["text_x"], r["meta_x"], r["quality"])
+        got[r["doc_id"]] = min(got.get(r["doc_id"], mine), mine)
+    order = sorted(got, key=lambda k: (crc32(str(k).encode()), k))
+    xs = [np.array([np.frombuffer(got[k][c], np.float16) for k in order], np.float32) for c in (0, 1)]
+    rows = Labelled(xs, np.array([int(got[k][2] > 0) for k in order], np.int64))
+    return co_train(rows, lambda model: confident(views, model, taught))
 
 
 def view_columns(docs: DataFrame) -> DataFrame:

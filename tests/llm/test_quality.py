@@ -142,7 +142,7 @@ def test_hashed_ngrams_in_parts(monkeypatch):
 def test_cotraining_on_held_out_labels(spark):
     big = SF.replace("0.001", "0.01")
     docs, labels = spark.read.parquet(f"{big}/documents.parquet"), spark.read.parquet(f"{big}/labels.parquet")
-    model = cotraining.train(docs, labels.where("doc_id % 3 != 0"), pool=500)
+    model = cotraining.train(docs, labels.where("doc_id % 3 != 0"), taught=100)
     got = cotraining.classify(docs, model).join(labels.where("doc_id % 3 = 0"), "doc_id").collect()
     right = np.mean([r["kept"] == (r["quality"] == 1) for r in got])
     assert right > 0.95
@@ -153,7 +153,7 @@ def test_cotraining_on_held_out_labels(spark):
 def test_cotraining_odd_rows(spark):
     big = SF.replace("0.001", "0.01")
     docs, labels = spark.read.parquet(f"{big}/documents.parquet"), spark.read.parquet(f"{big}/labels.parquet")
-    model = cotraining.train(docs, labels, labelled=200, pool=50)
+    model = cotraining.train(docs, labels, labelled=200, taught=20)
     odd = spark.createDataFrame([(None, None, None, None, None, "x"), (1, "", "en", "s", -5 + 5, "x"), (1, "", "en", "s", 0, "x")], DOCS)
     got = cotraining.classify(odd, model).collect()
     assert len(got) == 3 and all(0 <= r["p_good"] <= 1 for r in got)
@@ -163,14 +163,56 @@ def test_cotraining_odd_rows(spark):
     assert cotraining.classify(docs.limit(0), model).count() == 0 and cotraining.keep(docs.limit(0), model).count() == 0
 
 
+def plain_teacher(a, b, bar=2.2):
+    """What each view is confident of, with the other view's rows."""
+
+    def teach(model):
+        out = []
+        for odds, other in zip(model.calibrated([a, b]), (b, a)):
+            sure = np.flatnonzero(np.abs(odds) >= bar)
+            out.append((other[sure], (odds[sure] > 0).astype(float)))
+        return out
+
+    return teach
+
+
 def test_views_learn_from_each_other():
     rng = np.random.default_rng(0)
     y = rng.integers(0, 2, 400)
     a = (rng.normal(size=(400, 3)) + 2 * y[:, None]).astype(np.float32)
     b = (rng.normal(size=(400, 2)) + 1.5 * y[:, None]).astype(np.float32)
-    model = cotraining.co_train([a[:40], b[:40]], y[:40], [a[40:240], b[40:240]])
+    model = cotraining.co_train(cotraining.Labelled([a[:40], b[:40]], y[:40]), plain_teacher(a[40:240], b[40:240]))
     right = ((model.log_odds([a[240:], b[240:]]) > 0) == y[240:]).mean()
     assert right > 0.9
     noise = rng.normal(size=(400, 2)).astype(np.float32)
-    model = cotraining.co_train([a[:100], noise[:100]], y[:100], [a[100:200], noise[100:200]])
+    model = cotraining.co_train(cotraining.Labelled([a[:100], noise[:100]], y[:100]), plain_teacher(a[100:200], noise[100:200]))
     assert ((model.log_odds([a[200:], noise[200:]]) > 0) == y[200:]).mean() > 0.85
+
+
+def test_a_view_without_information_teaches_nothing(spark):
+    rng = np.random.default_rng(3)
+    y = rng.integers(0, 2, 300)
+    a = (rng.normal(size=(300, cotraining.TEXT)) * 0.1 + y[:, None]).astype(np.float32)
+    noise = rng.normal(size=(300, cotraining.META)).astype(np.float32)
+    rows = cotraining.Labelled([a[:200], noise[:200]], y[:200])
+    model = cotraining.calibrated([cotraining.logistic(x[~rows.held], rows.y[~rows.held].astype(float)) for x in rows.xs], rows)
+    views = spark.createDataFrame([(k, None, a[k].astype(np.float16).tobytes(), noise[k].astype(np.float16).tobytes()) for k in range(200, 300)], "doc_id long, quality int, text_x binary, meta_x binary")
+    (by_text, labels), (by_meta, _) = cotraining.confident(views, model, most=30)
+    assert len(by_meta) == 0 and 40 <= len(by_text) <= 60 and sorted(set(labels)) == [0, 1]
+
+
+def test_bands_count_a_text_once(spark):
+    """Copies of one text are over half of a language; other clean texts stay inside the band."""
+    docs = spark.read.parquet(f"{SF}/documents.parquet").where("lang = 'en'").select("doc_id", "text", "lang")
+    copy = docs.where("length(text) > 800").orderBy("doc_id").limit(1).collect()[0]
+    copies = spark.createDataFrame([(50_000 + k, copy["text"], "en") for k in range(300)], "doc_id long, text string, lang string")
+    before = {r["doc_id"] for r in kneser_ney.judge(docs).where("kept").collect()}
+    after = {r["doc_id"] for r in kneser_ney.judge(docs.unionByName(copies), docs).where("kept").collect()}
+    assert len(before - after) <= 0.02 * len(before)
+
+
+def test_equal_hashes_of_different_windows(monkeypatch):
+    words = [b"%d" % (k % 50) for k in range(300)] + [b"x%d" % k for k in range(40)]
+    want = kneser_ney.repeated_words(words)
+    monkeypatch.setattr(kneser_ney, "MULTIPLIER", np.uint64(0))
+    assert kneser_ney.repeated_words(words) == want == 300
