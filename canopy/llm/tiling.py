@@ -24,6 +24,8 @@ from canopy.arrow import Shared, arrow_map
 from canopy.storage import stage
 
 SEED, COVERAGE, BLOCK = 5, 0.5, 2_000_000
+#: Pairs of equal runs looked at together.
+PAIRS = 1 << 20
 TOKEN = re.compile(r"\w+")
 MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
 FOUND = "doc_id long, item_id long, coverage double, tiles int"
@@ -58,40 +60,61 @@ def free_runs(marked: np.ndarray, size: int) -> np.ndarray:
     return np.flatnonzero(total[size:] == total[:-size])
 
 
+def maximal_matches(doc: np.ndarray, item: np.ndarray, taken_doc: np.ndarray, taken_item: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Starts in both and lengths of the free matches of at least ``size`` codes that cannot begin earlier.
+
+    Runs of equal rolling hashes are paired in blocks of ``PAIRS``; most pairs of a repetitive text continue one that
+    begins earlier, and fall away at once. The others are extended side by side, code by code.
+    """
+    of_item, of_doc = free_runs(taken_item, size), free_runs(taken_doc, size)
+    hash_item, hash_doc = rolling(item, size)[of_item], rolling(doc, size)[of_doc]
+    order = np.argsort(hash_item, kind="stable")
+    hash_item, of_item = hash_item[order], of_item[order]
+    first = np.searchsorted(hash_item, hash_doc, "left")
+    n = np.searchsorted(hash_item, hash_doc, "right") - first
+    hit = np.flatnonzero(n)
+    starts = [(np.zeros(0, np.int64), np.zeros(0, np.int64))]
+    blocks = np.searchsorted(np.cumsum(n[hit]), np.arange(PAIRS, int(n.sum()) + PAIRS, PAIRS)) + 1 if len(hit) else []
+    for mine in np.split(hit, blocks):
+        d = np.repeat(of_doc[mine], n[mine])
+        i = of_item[np.repeat(first[mine] - np.cumsum(n[mine]) + n[mine], n[mine]) + np.arange(len(d))]
+        earlier = (d > 0) & (i > 0)
+        earlier[earlier] = (doc[d[earlier] - 1] == item[i[earlier] - 1]) & ~taken_doc[d[earlier] - 1] & ~taken_item[i[earlier] - 1]
+        starts.append((d[~earlier], i[~earlier]))
+    d, i = (np.concatenate(x) for x in zip(*starts))
+    length, going = np.zeros(len(d), np.int64), np.arange(len(d))
+    while len(going):
+        x, y = d[going] + length[going], i[going] + length[going]
+        inside = (x < len(doc)) & (y < len(item))
+        going, x, y = going[inside], x[inside], y[inside]
+        going = going[(doc[x] == item[y]) & ~taken_doc[x] & ~taken_item[y]]
+        length[going] += 1
+    long = length >= size
+    return d[long], i[long], length[long]
+
+
 def tile(doc: np.ndarray, item: np.ndarray, least: int = SEED) -> list[tuple[int, int, int]]:
     """Greedy tiles (place in doc, place in item, length) of at least ``least`` codes, longest first."""
     taken_doc, taken_item, tiles = np.zeros(len(doc), bool), np.zeros(len(item), bool), []
     size = min(len(item), len(doc))
     while size >= least:
-        # runs of the search length that both sides still have free
-        places = defaultdict(list)
-        at = free_runs(taken_item, size)
-        for k, h in zip(at.tolist(), rolling(item, size)[at].tolist()):
-            places[h].append(k)
-        at = free_runs(taken_doc, size)
-        hashes = rolling(doc, size)[at]
-        hit = np.isin(hashes, np.fromiter(places, np.uint64, len(places))) if places else np.zeros(len(at), bool)
-        matches = []
-        for d, h in zip(at[hit].tolist(), hashes[hit].tolist()):
-            for i in places[h]:
-                n = 0
-                while d + n < len(doc) and i + n < len(item) and doc[d + n] == item[i + n] and not taken_doc[d + n] and not taken_item[i + n]:
-                    n += 1
-                if n >= size:
-                    matches.append((-n, d, i))
-        longest = max((-m[0] for m in matches), default=0)
+        d, i, n = maximal_matches(doc, item, taken_doc, taken_item, size)
+        longest = int(n.max(initial=0))
         if longest > 2 * size:  # search the long ones first
             size = longest
             continue
-        for n, d, i in sorted(matches):
-            if not taken_doc[d : d - n].any() and not taken_item[i : i - n].any():
-                taken_doc[d : d - n] = True
-                taken_item[i : i - n] = True
-                tiles.append((d, i, -n))
-        if size == least:  # what a tile left free of a longer match may still fit
-            if not matches:
-                break
+        blocked = False
+        for k in np.lexsort((i, d, -n)).tolist():
+            mine, its = slice(d[k], d[k] + n[k]), slice(i[k], i[k] + n[k])
+            if taken_doc[mine].any() or taken_item[its].any():
+                blocked = True
+                continue
+            taken_doc[mine] = taken_item[its] = True
+            tiles.append((int(d[k]), int(i[k]), int(n[k])))
+        if blocked:  # what a tile left free of a longer match may still fit
             continue
+        if size == least:
+            break
         size = max(size // 2 if size > 2 * least else least, least)
     return tiles
 
@@ -178,7 +201,8 @@ def contamination(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame
     A null or empty text matches nothing, and neither does an item without a
     token. Rows that repeat a doc_id are one document; null ids are another.
     Items shorter than the seed match as a whole. Equal coverages give the
-    smaller item. An empty benchmark leaves every document clean.
+    smaller item. An empty benchmark leaves every document clean. Whole texts
+    count, however long; extra columns are ignored.
     """
     found = stage(matches(docs, benchmark, **options), "tiled")
     best = found.groupBy("doc_id").agg(

@@ -105,3 +105,15 @@ def test_cleaning(spark):
     assert kept.columns == docs.columns and sorted(str(r["doc_id"]) for r in kept.collect()) == ["2", "2", "None"]
     assert tiling.clean(docs, bench.limit(0)).count() == 4 and tiling.clean(docs.limit(0), bench).count() == 0
     assert tiling.contamination(docs, bench).count() == 3
+
+
+def test_long_repetitive_texts():
+    """One word again and again, and two in turn, in documents of 100,000 words."""
+    import time
+
+    start = time.perf_counter()
+    one, item = np.full(100_000, 7, np.uint64), np.full(2_000, 7, np.uint64)
+    assert sum(t[2] for t in tiling.tile(one[:20_000], item)) == 2_000
+    turns = np.arange(100_000, dtype=np.uint64) % np.uint64(50)
+    assert sum(t[2] for t in tiling.tile(turns, turns[:1_000])) == 1_000
+    assert time.perf_counter() - start < 60
