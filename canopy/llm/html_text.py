@@ -3,9 +3,10 @@
 ``html.parser`` events are folded into lines: a block-level tag ends a line.
 Every line has a text-to-tag ratio (characters of text by tags in it). The
 ratios are smoothed with a Gaussian, and a threshold parts content lines from
-the rest. The content lines vote, with their characters, for the container
-that holds the article; its lines are the content region. The names article
-and main only widen it, to the outermost of them around the elected container.
+the rest. Only content lines vote, with their characters, for the container
+that holds the article; its lines are the content region, short ones as well.
+The names article and main only widen it: to the outermost of them around the
+elected container, and to articles beside it that have content lines too.
 Lines inside menus, forms, notices and the like never belong to it. A class or
 role that marks such a part counts inside the region only, so a layout wrapper
 cannot silence the region that it holds.
@@ -31,14 +32,30 @@ HIDDEN = frozenset("script style noscript template head title iframe object svg
 ASIDE = frozenset("nav header footer aside form menu dialog fieldset".split())
 SCOPE = frozenset("html body main article section div td nav header footer aside form menu dialog fieldset table figure ul ol dl blockquote".split())
 ARTICLE = frozenset("article main".split())
-NOISE = re.compile(
-    r"(?i)(^|[\s_-])(ads?|adverts?|advertisements?|advertising|sponsor(ed)?|promo(tion)?s?|banners?|menu|nav|navbar|navigation|breadcrumbs?|sidebar|side-bar|aside|footer|header|masthead|"
-    r"comments?|respond|replies|disqus|cookies?|consent|gdpr|notices?|alert|popup|modal|overlay|newsletter|subscribe|signup|login|share|sharing|social|related|recommended|widget|toolbar|pagination|pager)(?=$|[\s_-])"
+# fixed values: words of a class or id that name noise, and words that only say where or how it stands
+NOISE = frozenset(
+    "ad ads advert adverts advertisement advertisements advertising sponsor sponsored promo promos promotion promotions banner banners menu nav navbar navigation breadcrumb breadcrumbs "
+    "sidebar aside footer header masthead comment comments respond replies disqus cookie cookies consent gdpr notice notices alert popup modal overlay newsletter subscribe signup login "
+    "share sharing social related recommended widget toolbar pagination pager".split()
 )
+PLACE = frozenset("left right top bottom main primary secondary site page global list lists item items box wrap wrapper container inner outer area block section bar links link buttons button icons slot unit form posts articles stories 1 2 3".split())
+WORD = re.compile(r"[a-z]+|[0-9]+")
 ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert menu menubar".split())
 WIDTH = 2.0
 
 
+def names_noise(value: str) -> bool:
+    """Whether one of the names in a class or id says noise, and nothing else but its place.
+
+    ``site-footer`` and ``sidebarLeft`` do; ``login-required`` and ``social-science`` speak of the content.
+    """
+    for name in re.sub(r"(?<=[a-z])(?=[A-Z])", "-", value).lower().split():
+        words = WORD.findall(name.replace("side-bar", "sidebar"))
+        if any(w in NOISE for w in words) and all(w in NOISE or w in PLACE for w in words):
+            return True
+    return False
+
+
 class Lines(HTMLParser):
     """Folds parser events into lines: text, tags, container, whether it may vote, and what silences it.
 
@@ -74,7 +91,7 @@ class Lines(HTMLParser):
             if attrs and (not noise or tag in ARTICLE) and tag not in ("html", "body"):
                 values = {k: v or "" for k, v in attrs}
                 gone = "hidden" in values or values.get("aria-hidden") == "true"
-                named = bool(NOISE.search(values.get("class", "")) or NOISE.search(values.get("id", ""))) or values.get("role", "") in ROLES
+                named = names_noise(values.get("class", "")) or names_noise(values.get("id", "")) or values.get("role", "") in ROLES
                 if gone:
                     noise, silence = True, None
                 elif named and tag not in ARTICLE:
@@ -121,6 +138,12 @@ def smooth(ratio: np.ndarray, width: float = WIDTH) -> np.ndarray:
     return np.convolve(ratio, kernel / kernel.sum())[reach : reach + len(ratio)]
 
 
+def clustered(level: np.ndarray) -> np.ndarray:
+    """Content lines: those at or above the standard deviation of the smoothed ratios, or above zero if all are equal."""
+    spread = level.std()
+    return level >= spread if spread > 1e-9 * max(float(level.max(initial=0)), 1.0) else level > 0
+
+
 def main_text(html: str) -> str:
     """The article of a page, its blocks in order with one space between; empty if there is none."""
     parser = Lines()
@@ -132,12 +155,13 @@ def main_text(html: str) -> str:
     if not lines:
         return ""
     ratio = np.array([len(t) / max(tags, 1) for t, tags, *_ in lines])
-    level = smooth(ratio)
-    content = level >= level.std() if level.std() > 0 else level > 0
+    content = clustered(smooth(ratio))
     votes: dict[int, float] = defaultdict(float)
-    for (text, _, holder, noise, _), good in zip(lines, content):
-        if text and not noise:
-            votes[holder] += len(text) * (1.0 if good else 0.25)
+    may = [bool(text) and not noise for text, _, _, noise, _ in lines]
+    chosen = [m and c for m, c in zip(may, content)]
+    for (text, _, holder, *_), good in zip(lines, chosen if any(chosen) else may):  # a page of tags only has no dense line
+        if good:
+            votes[holder] += len(text)
     if not votes:
         return ""
     total, up = defaultdict(float), parser.parents
@@ -151,18 +175,27 @@ def main_text(html: str) -> str:
     holder = best
     while holder >= 0:
         best, holder = holder if parser.is_article[holder] else best, up[holder]
+    region = {best}
+    if parser.is_article[best]:  # articles beside it that have content lines of their own
+        region |= {k for k in total if up[k] == up[best] and parser.is_article[k]}
 
     def within(holder: int) -> bool:
-        while holder >= 0 and holder != best:
+        while holder >= 0 and holder not in region:
             holder = up[holder]
-        return holder == best
+        return holder >= 0
 
     inside = {h: within(h) for h in range(len(up))}
     return " ".join(t for t, _, h, _, silence in lines if t and inside[h] and silence is not None and not any(inside[p] for p in silence))
 
 
 def extract(pages: DataFrame) -> DataFrame:
-    """``(page_id, url, text, n_chars)`` of every row; a null page is empty."""
+    """``(page_id, url, text, n_chars)`` of every row.
+
+    A null page is empty, and so is one without a content line. Rows that
+    repeat a page are extracted one by one; containers of equal votes give the
+    first on the page. Whole pages count, parsed in parts of bounded size.
+    Extra columns are ignored, and an empty table gives no row.
+    """
 
     def make():
         def step(ids: list, urls: list, pages: list) -> Iterator[tuple]:
