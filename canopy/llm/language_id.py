@@ -8,11 +8,11 @@ the training rows. A small gap to the runner-up is flagged as ambiguous.
 
 from __future__ import annotations
 
-import re
 from collections.abc import Iterator
 from itertools import combinations
 
 import numpy as np
+import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -23,7 +23,8 @@ DIMENSIONS, RIDGE = 2048, 1e-3
 #: Training rows of each language, about (a hash picks them); the one bound on rows.
 ROWS_PER_LANGUAGE = 1500
 UNKNOWN, AMBIGUOUS = "und", 0.6
-LETTER = re.compile(r"[^\W\d_]")
+#: By Unicode category, so neither fractions nor Roman numerals are letters.
+LETTER = regex.compile(r"\p{L}")
 
 
 def vector(text: str, dimensions: int = DIMENSIONS) -> np.ndarray:
@@ -68,7 +69,8 @@ class Codes:
 
 
 def held_out(id_col: str = "doc_id") -> Column:
-    return F.crc32(F.col(id_col).cast("string")) % 4 == 2
+    """By the id's checksum; a null id is not held out."""
+    return F.coalesce(F.crc32(F.col(id_col).cast("string")) % 4 == 2, F.lit(False))
 
 
 def train(docs: DataFrame, trainable: Column, per_language: int = ROWS_PER_LANGUAGE) -> Codes | None:
@@ -103,7 +105,10 @@ def identify(docs: DataFrame, codes: Codes | None) -> DataFrame:
     """``(doc_id, lang_pred, score, ambiguous)`` for every row.
 
     ``und`` with score 0 stands for a null text, a text without letters, or no
-    language to learn from. Extra columns are ignored.
+    language to learn from. Whole texts count, in parts of bounded size; rows
+    that repeat an id are judged one by one; languages of equal loss give the
+    first in order of name. Extra columns are ignored, and empty input gives
+    no row.
     """
     shared = Shared(docs.sparkSession, codes)
 

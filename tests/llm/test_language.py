@@ -31,12 +31,13 @@ def test_labels_of_held_out_rows_do_not_matter(spark):
 def test_unknown_texts(spark):
     docs = spark.read.parquet(f"{BIG}/documents.parquet")
     codes = language_id.train(docs, ~language_id.held_out(), per_language=30)
-    odd = [(1, None), (2, ""), (3, "123 ... !!"), (4, "the"), (4, "the"), (None, "der und die"), (5, "a" * 300_000)]
+    odd = [(1, None), (2, ""), (3, "123 ... !!"), (4, "the"), (4, "the"), (None, "der und die"), (5, "a" * 300_000), (6, "\u00bd \u00b2 \u2167"), (7, "\u01c5")]
     frame = spark.createDataFrame([(k, t, "en", "s", 1, "clash") for k, t in odd], DOCS)
     got = language_id.identify(frame, codes).collect()
     assert len(got) == len(odd)
-    assert [(r["lang_pred"], r["score"]) for r in got if r["doc_id"] in (1, 2, 3)] == [("und", 0.0)] * 3
-    assert all(r["lang_pred"] in codes.langs for r in got if r["doc_id"] not in (1, 2, 3))
+    assert [(r["lang_pred"], r["score"]) for r in got if r["doc_id"] in (1, 2, 3, 6)] == [("und", 0.0)] * 4
+    assert all(r["lang_pred"] in codes.langs for r in got if r["doc_id"] not in (1, 2, 3, 6))
+    assert [r["h"] for r in frame.where("doc_id IS NULL").select(language_id.held_out().alias("h")).collect()] == [False]
     assert language_id.train(docs.limit(0), language_id.held_out()) is None
     assert {r["lang_pred"] for r in language_id.identify(frame, None).collect()} == {"und"}
     assert language_id.identify(frame.limit(0), codes).count() == 0
