@@ -84,6 +84,11 @@ def postings(distinct: DataFrame, distance: int = DISTANCE) -> DataFrame:
     )
 
 
+def least_shared(distance: int) -> int:
+    """The positional bytes that fingerprints within ``distance`` have in common at least."""
+    return 8 - distance
+
+
 def masks_within(bits: int, distance: int) -> list[int]:
     return [sum(1 << b for b in c) for d in range(1, distance + 1) for c in combinations(range(bits), d)]
 
@@ -94,8 +99,9 @@ def list_links(reps: np.ndarray, fps: np.ndarray, free: tuple[int, ...], distanc
     reps, fps = reps[order], fps[order]
     n, label = len(reps), np.arange(len(reps))
     if n <= 64:
-        gap = np.bitwise_count(fps[:, None] ^ fps[None, :])
-        near = gap <= distance
+        apart = fps[:, None] ^ fps[None, :]
+        tally = (apart.reshape(n, n, 1).view(np.uint8) == 0).sum(axis=2)  # positional bytes in common
+        near = (tally >= least_shared(distance)) & (np.bitwise_count(apart) <= distance)
         while True:
             new = np.where(near, label[None, :], n).min(axis=1)
             if (new == label).all():
@@ -127,7 +133,8 @@ def links(distinct: DataFrame, distance: int = DISTANCE) -> DataFrame:
             for k, group in zip(free, members):
                 if len(group) == 2:
                     (a, b) = group
-                    if ((a["fp"] ^ b["fp"]) & (1 << 64) - 1).bit_count() <= distance:
+                    apart = (a["fp"] ^ b["fp"]) & (1 << 64) - 1
+                    if apart.to_bytes(8).count(0) >= least_shared(distance) and apart.bit_count() <= distance:
                         yield min(a["rep"], b["rep"]), max(a["rep"], b["rep"])
                     continue
                 reps = np.array([m["rep"] for m in group], np.int64)
