@@ -62,8 +62,11 @@ def scan_versions(docs: DataFrame, ledger: str | None = None, rules: dict = RULE
 
     ``ledger`` is the folder of the ledger; pairs of blob and rule version it
     holds are not scanned again, new ones are appended to it. Null texts count
-    as empty; a null id or a repeated row is a version like any other. Empty
-    input appends nothing and gives no row.
+    as empty; a null id or a repeated row is a version like any other (rows of
+    equal id and text are scanned each, their findings are one). Whole texts
+    are scanned, however long; columns of ``docs`` named like those here do
+    not matter. Empty input appends nothing and gives no row. A scan that its
+    caller repeats may append its rows again, which reading merges.
     """
     spark = docs.sparkSession
     ledger = ledger or fresh_path(spark, "ledger")

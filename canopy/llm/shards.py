@@ -100,7 +100,11 @@ class ShardStore:
         return [File(n, size, self.tier(size)) for n, size in found]
 
     def append(self, rows: DataFrame) -> int:
-        """Write an arrival as shards, one for each of its partitions, and commit them."""
+        """Write an arrival as shards, one for each of its partitions, and commit them.
+
+        Rows are kept as they are: nulls, repeated rows, long texts and extra columns, which must be those of the
+        store's schema. An empty arrival commits a version all the same.
+        """
         base = self.manifest()
         schema = json.loads(rows.schema.json())
         if base["schema"] not in (None, schema):
@@ -108,12 +112,24 @@ class ShardStore:
         return self.commit(base["version"], schema, base["files"] + self.write(rows))
 
     def read(self, version: int | None = None, files: list[File] | None = None) -> DataFrame:
+        """The rows of a version, or of some of its files; none for an empty one."""
         got = self.manifest(version)
         files = got["files"] if files is None else files
         if got["schema"] is None:
             raise ValueError("the store has no version yet")
         schema = StructType.fromJson(got["schema"])
-        return self.spark.read.schema(schema).parquet(*(f"{self.folder}/{f.name}" for f in files)) if files else self.spark.createDataFrame([], schema)
+        return self.spark.read.schema(schema).parquet(*self.paths(files)) if files else self.spark.createDataFrame([], schema)
+
+    def paths(self, files: list[File]) -> list[str]:
+        """The folders of these files where nothing else lies in them, which Spark lists in parallel; else the files."""
+        by_folder: dict[str, list[str]] = defaultdict(list)
+        for f in files:
+            by_folder[f.name.rsplit("/", 1)[0]].append(f.name)
+        out = []
+        for folder, names in by_folder.items():
+            there = sum(x.getPath().getName().startswith("part-") for x in self.list(folder))
+            out += [f"{self.folder}/{folder}"] if there == len(names) else [f"{self.folder}/{n}" for n in names]
+        return out
 
     def plan(self, files: list[File]) -> list[list[File]]:
         """Tiers to merge: ``runs`` shards or more of similar size, below the target size."""
