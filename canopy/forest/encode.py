@@ -53,33 +53,34 @@ def encode_edges(edges: DataFrame, id: str = "id", parent: str = "parent", label
 def preorder(rows: DataFrame, keys: list[str], group: str = "tree_id") -> DataFrame:
     """Adds ``rank``: the row's place in its group (a tree), in the order of ``keys``, from 0.
 
-    A distributed rank: rows are range-partitioned by the keys and numbered
-    inside their partition; the number of rows in the partitions before is
-    added. No window spans more than one partition, however large a group.
+    A distributed rank: rows are range-partitioned by the keys, sorted and
+    numbered where they lie; the number of rows in the partitions before is
+    added. One shuffle, and no window, however large a group.
     """
     spark = rows.sparkSession
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    dealt = rows.repartitionByRange(parts, group, *keys).withColumn("part", F.spark_partition_id())
-    local = stage(dealt.withColumn("place", F.row_number().over(Window.partitionBy("part").orderBy(group, *keys))), "ranked")
-    counts = {r["part"]: r["n"] for r in local.groupBy("part").agg(F.count(F.lit(1)).alias("n")).collect()}  # one number for each partition
+    dealt = rows.repartitionByRange(parts, group, *keys).sortWithinPartitions(group, *keys)
+    # the number holds the partition above bit 33 and the place in it below
+    local = stage(dealt.withColumn("at", F.monotonically_increasing_id()), "ranked")
+    part = F.shiftright("at", 33).cast("int")
+    counts = {r["part"]: r["n"] for r in local.groupBy(part.alias("part")).agg(F.count(F.lit(1)).alias("n")).collect()}  # one number for each partition
     total, offsets = 0, []
-    for part in range(max(counts, default=-1) + 1):
+    for k in range(max(counts, default=-1) + 1):
         offsets.append(total)
-        total += counts.get(part, 0)
-    base = F.element_at(F.array(*map(F.lit, offsets)), F.col("part") + 1) if offsets else F.lit(0)
-    numbered = local.withColumn("place", (F.col("place") - 1 + base).cast("long"))
+        total += counts.get(k, 0)
+    base = F.element_at(F.array(*map(F.lit, offsets)), part + 1) if offsets else F.lit(0)
+    numbered = local.withColumn("place", (F.col("at").bitwiseAND(F.lit((1 << 33) - 1)) + base).cast("long"))
     first = numbered.groupBy(group).agg(F.min("place").alias("first"))
-    return numbered.join(first, group).withColumn("rank", F.col("place") - F.col("first")).drop("part", "place", "first")
+    return numbered.join(first, group).withColumn("rank", F.col("place") - F.col("first")).drop("at", "place", "first")
 
 
 def number(paths: DataFrame) -> DataFrame:
-    """``nodes`` from ``(tree_id, label, path)``; a path is the array of keys from its root."""
+    """``nodes`` from ``(tree_id, label, path)``; a path is the array of (order, id) from its root."""
     ranked = preorder(paths.withColumn("level", F.size("path") - 1), ["path"])
-    coded = stage(ranked.select("tree_id", "label", "path", "level", (2 * F.col("rank") - F.col("level")).alias("begin")), "coded")
-    above = coded.where("level > 0").select("tree_id", "begin", F.explode(F.sequence(F.lit(1), F.col("level"))).alias("n"), "path")
-    above = above.select("tree_id", "begin", F.slice("path", 1, F.col("n")).alias("path"))
-    holders = coded.select("tree_id", "path", F.col("begin").alias("a"))
-    pairs = stage(above.join(holders, ["tree_id", "path"]).select("tree_id", "begin", "a"), "pairs")
+    coded = stage(ranked.select("tree_id", "label", F.col("path.id").alias("ids"), "level", (2 * F.col("rank") - F.col("level")).alias("begin")), "coded")
+    above = coded.where("level > 0").select("tree_id", "begin", F.explode(F.slice("ids", 1, F.col("level"))).alias("id"))
+    holders = coded.select("tree_id", F.element_at("ids", -1).alias("id"), F.col("begin").alias("a"))
+    pairs = stage(above.join(holders, ["tree_id", "id"]).select("tree_id", "begin", "a"), "pairs")
     sizes = pairs.groupBy("tree_id", F.col("a").alias("begin")).agg(F.count(F.lit(1)).alias("below"))
     ancestors = pairs.groupBy("tree_id", "begin").agg(F.array_sort(F.collect_list("a")).alias("anc"))
     return finish(coded.join(sizes, ["tree_id", "begin"], "left").join(ancestors, ["tree_id", "begin"], "left").withColumn("anc", F.coalesce("anc", F.array().cast("array<bigint>"))))

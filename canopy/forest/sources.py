@@ -26,11 +26,14 @@ def table(spark: SparkSession, folder: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{folder}/{name}.parquet")
 
 
-def star(spark: SparkSession, folder: str) -> DataFrame:
-    """region > nation > customer > order > line, with attribute leaves; a tree is a region."""
+def star(spark: SparkSession, folder: str, tenths: int = 10) -> DataFrame:
+    """region > nation > customer > order > line, with attribute leaves; a tree is a region.
+
+    ``tenths`` keeps so many tenths of the customers, for a forest that grows.
+    """
     region = table(spark, folder, "region").select(F.col("r_regionkey").alias("r"))
     nation = table(spark, folder, "nation").select(F.col("n_regionkey").alias("r"), F.col("n_nationkey").alias("n"))
-    customer = table(spark, folder, "customer").join(F.broadcast(nation), F.col("c_nationkey") == F.col("n")).select("r", "n", F.col("c_custkey").alias("c"), "c_mktsegment")
+    customer = table(spark, folder, "customer").where(F.lit(tenths == 10) | (F.col("c_custkey") % 10 < tenths)).join(F.broadcast(nation), F.col("c_nationkey") == F.col("n")).select("r", "n", F.col("c_custkey").alias("c"), "c_mktsegment")
     orders = table(spark, folder, "orders").join(customer, F.col("o_custkey") == F.col("c")).select("r", "n", "c", F.col("o_orderkey").alias("o"), "o_orderstatus", "o_orderpriority")
     place = F.row_number().over(Window.partitionBy("l_orderkey").orderBy("l_linenumber", "l_partkey", "l_suppkey", "l_returnflag", "l_linestatus", "l_quantity", "l_extendedprice"))
     line = table(spark, folder, "lineitem").withColumn("l", place).join(orders.select("r", "n", "c", "o"), F.col("l_orderkey") == F.col("o"))
@@ -54,6 +57,29 @@ def star(spark: SparkSession, folder: str) -> DataFrame:
     return encode_levels(levels, ["r", "n", "c", "o", "l", "a"], "r")
 
 
+def line_paths(spark: SparkSession, folder: str) -> DataFrame:
+    """order(line(flag, ls), prio, status) of every line, a tree of its own; the shape is fixed, so the codes are."""
+    orders = table(spark, folder, "orders").select(F.col("o_orderkey").alias("l_orderkey"), "o_orderstatus", "o_orderpriority")
+    place = F.row_number().over(Window.partitionBy("l_orderkey").orderBy("l_linenumber", "l_partkey", "l_suppkey", "l_returnflag", "l_linestatus", "l_quantity", "l_extendedprice"))
+    rows = table(spark, folder, "lineitem").withColumn("l", place).join(orders, "l_orderkey")
+    shape = [
+        (0, 11, 0, None, F.lit("order"), []),
+        (1, 6, 1, 0, F.lit("line"), [0]),
+        (2, 3, 2, 1, cat_label("l_returnflag", "flag"), [0, 1]),
+        (4, 5, 2, 1, cat_label("l_linestatus", "ls"), [0, 1]),
+        (7, 8, 1, 0, cat_label("o_orderpriority", "prio"), [0]),
+        (9, 10, 1, 0, cat_label("o_orderstatus", "status"), [0]),
+    ]
+    nodes = [
+        F.struct(
+            F.lit(b).cast("long").alias("begin"), F.lit(e).cast("long").alias("end"), F.lit(lv).alias("level"), F.lit(up).cast("long").alias("parent"), label.alias("label"),
+            F.array(*(F.lit(a) for a in anc)).cast("array<bigint>").alias("anc"),
+        )
+        for b, e, lv, up, label, anc in shape
+    ]
+    return rows.select((F.col("l_orderkey") * 1000 + F.col("l")).alias("tree_id"), F.inline(F.array(*nodes)))
+
+
 def supply(spark: SparkSession, folder: str) -> DataFrame:
     """nation > supplier > part (of its lines), with brand, type and size leaves; a tree is a nation."""
     supplier = table(spark, folder, "supplier").select(F.col("s_nationkey").alias("n"), F.col("s_suppkey").alias("s"))

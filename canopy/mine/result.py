@@ -52,6 +52,12 @@ class MiningResult:
         return out
 
 
+def search_tree(patterns: DataFrame) -> DataFrame:
+    """``(parent, root, code, k)``: every pattern with the prefix it grew from; none above two nodes."""
+    upper = patterns.select(F.col("pattern_id").alias("prefix_id"), F.col("code").alias("above"))
+    return patterns.join(upper, "prefix_id", "left").select(F.col("above").alias("parent"), F.col("labels")[0].alias("root"), "code", "k")
+
+
 def targets(patterns: DataFrame) -> DataFrame:
     """A row for each pattern and set (frequent, closed, maximal) it is in."""
     sets = F.array_compact(F.array(F.lit("frequent"), F.when(F.col("is_closed"), F.lit("closed")), F.when(F.col("is_maximal"), F.lit("maximal"))))

@@ -5,7 +5,7 @@ from __future__ import annotations
 KEYS = {"region": ["r"], "nation": ["r", "n"], "customer": ["r", "n", "c"], "order": ["r", "n", "c", "o"], "line": ["r", "n", "c", "o", "l"]}
 
 
-def star() -> str:
+def star(tenths: int = 10) -> str:
     """CTEs up to ``nodes(tree_id, begin, end, level, parent, label, keys)`` of the star hierarchy."""
     parts = [
         "SELECT r_regionkey::BIGINT r, -1 n, -1 c, -1 o, -1 l, -1 a, 0 lv, 'region' label FROM region",
@@ -26,7 +26,7 @@ def star() -> str:
     parent = " ".join(f"WHEN label = '{k}' THEN min(b) OVER {over[h]}" for k, h in up.items())
     leaf = " ".join(f"WHEN a >= 0 AND lv = {lv} THEN min(b) OVER {over[h]}" for lv, h in ((3, "customer"), (4, "order"), (5, "line")))
     return f"""
-    cust AS (SELECT n_regionkey r, n_nationkey n, c_custkey c, c_mktsegment seg FROM customer JOIN nation ON c_nationkey = n_nationkey),
+    cust AS (SELECT n_regionkey r, n_nationkey n, c_custkey c, c_mktsegment seg FROM customer JOIN nation ON c_nationkey = n_nationkey WHERE c_custkey % 10 < {tenths}),
     ord AS (SELECT r, n, c, o_orderkey o, o_orderstatus status, o_orderpriority prio FROM orders JOIN cust ON o_custkey = c),
     line AS (SELECT r, n, c, o, row_number() OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey, l_returnflag, l_linestatus, l_quantity, l_extendedprice) l,
                     l_returnflag flag, l_linestatus ls FROM lineitem JOIN ord ON l_orderkey = o),

@@ -19,7 +19,7 @@ from canopy.mine.lists import mine_lists
 from canopy.mine.onestep import mine_onestep
 from canopy.mine.scopejoin import mine_occurrence_join
 from canopy.pattern.codec import parse, show
-from canopy.pattern.expand import child_join, cousin_join, expand_class
+from canopy.pattern.expand import expand_class
 from canopy.storage import kept, stage
 from canopy.stream import sessions
 
@@ -329,35 +329,11 @@ def bitmap_unpack(spark, d):
     return occlist.unpack(bits, orders, ["flag"]).groupBy("flag").agg(F.count(F.lit(1)).alias("n"))
 
 
-# pattern algebra: small fixed inputs, expected results by hand
-
-
 def values(columns: list[str], rows: list[tuple]) -> str:
     text = ", ".join("(" + ", ".join(repr(v) if isinstance(v, str) else str(v).lower() if isinstance(v, bool) else str(v) for v in r) + ")" for r in rows)
     return f"SELECT * FROM (VALUES {text}) v({', '.join(columns)})"
 
 
-JOINED = [("A(B)", "A(C)", "child", "A(B(C))"), ("A(B)", "A(C)", "cousin", "A(B,C)"), ("A(B(C))", "A(B,D)", "cousin", "A(B(C),D)"), ("A(B)", "A(B)", "child", "A(B(B))")]
-
-
-@query("class_joins", values(["left_code", "right_code", "kind", "code"], JOINED))
-def class_joins(spark, d):
-    rows = [(x, y, kind, show({"child": child_join, "cousin": cousin_join}[kind](parse(x), parse(y)))) for x, y, kind, _ in JOINED]
-    return spark.createDataFrame(rows, "left_code string, right_code string, kind string, code string")
-
-
-@query("class_expansion", values(["place", "kind", "code"], [(0, "child", "A(B(B))"), (1, "child", "A(B(C))"), (2, "cousin", "A(B,B)"), (3, "cousin", "A(B,C)"), (4, "child", "A(C(B))"), (5, "child", "A(C(C))"), (6, "cousin", "A(C,B)"), (7, "cousin", "A(C,C)")]))
-def class_expansion(spark, d):
-    rows = [(n, kind, show(q)) for n, (_, _, kind, q) in enumerate(expand_class([parse("A(C)"), parse("A(B)")]))]
-    return spark.createDataFrame(rows, "place int, kind string, code string")
-
-
-@query("pattern_functions", values(["text", "size", "depth", "fanout", "leaves", "is_path", "code", "prefix", "canonical", "in_large"], [("A(C,B(D))", 4, 2, 2, 2, False, "A(B(D),C)", "A(B(D))", False, True), ("A(B(C))", 3, 2, 1, 1, True, "A(B(C))", "A(B)", True, False)]))
-def pattern_functions(spark, d):
-    t = spark.createDataFrame([("A(C,B(D))",), ("A(B(C))",)], "text string")
-    return t.select("text", pf.p_size("text").alias("size"), pf.p_depth("text").alias("depth"), pf.p_fanout("text").alias("fanout"), pf.p_leaves("text").alias("leaves"), pf.p_is_path("text").alias("is_path"), pf.p_code("text").alias("code"), pf.p_prefix("text").alias("prefix"), pf.p_canonical("text").alias("canonical"), pf.p_embeds("text", F.lit("X(A(B(D),C,E))")).alias("in_large"))
-
-
 # miners inside the universe of patterns of three nodes at most
 
 STAR3 = f"WITH {O.star()}, {O.star_pairs(STAR_ROOTS)}, m AS (SELECT (count(*) * {{p}} + 99) // 100 AS n FROM orders), {O.small_patterns('(SELECT n FROM m)', STAR_ROOTS)}"
@@ -373,6 +349,35 @@ def frequent_k3_star(spark, d):
     return star3(miners.mine_frequent, spark, d).result().select("code", "k", "support")
 
 
+@query("class_expansion", STAR3.format(p=30) + """, kinds AS (SELECT x.al AS root, x.dl AS a, y.dl AS b, x.al || '(' || x.dl || ')' AS left_code, x.al || '(' || y.dl || ')' AS right_code FROM members x JOIN members y ON x.al = y.al)
+    SELECT left_code, right_code, 'child' AS kind, root || '(' || a || '(' || b || '))' AS code FROM kinds UNION ALL SELECT left_code, right_code, 'cousin', root || '(' || a || ',' || b || ')' FROM kinds""".replace("kinds AS", "members AS (SELECT al, dl FROM pairs GROUP BY al, dl HAVING al || '(' || dl || ')' IN (SELECT code FROM two)), kinds AS", 1))
+def class_expansion(spark, d):
+    """Child and cousin joins of all members of the classes of order and line."""
+    found = star3(miners.mine_frequent, spark, d, 30).search
+    members = [m for m in found.reported() if m.size == 2]
+    rows = [(show(x), show(y), kind, show(q)) for root in STAR_ROOTS for x, y, kind, q in expand_class([m.pattern for m in members if m.pattern.labels[0] == root])]
+    return spark.createDataFrame(rows, "left_code string, right_code string, kind string, code string")
+
+
+@query("class_joins", STAR3.format(p=30) + """ SELECT code, k, CASE WHEN shape = 'chain' THEN 'child' ELSE 'cousin' END AS kind FROM three""")
+def class_joins(spark, d):
+    """How the frequent 3-patterns came about."""
+    return star3(miners.mine_frequent, spark, d, 30).patterns().where("k = 3").select("code", "k", F.col("join_kind").alias("kind"))
+
+
+@query("pattern_functions", STAR3.format(p=30) + """ SELECT code AS text, k AS size, 1 AS depth, 1 AS fanout, 1 AS leaves, true AS is_path, code, split_part(code, '(', 1) AS prefix, true AS canonical FROM two
+    UNION ALL SELECT code, 3, CASE shape WHEN 'chain' THEN 2 ELSE 1 END, CASE shape WHEN 'chain' THEN 1 ELSE 2 END, CASE shape WHEN 'chain' THEN 1 ELSE 2 END, shape = 'chain', code, x || '(' || y || ')', true FROM three""")
+def pattern_functions(spark, d):
+    t = star3(miners.mine_frequent, spark, d, 30).result().select(F.col("code").alias("text"))
+    return t.select("text", pf.p_size("text").alias("size"), pf.p_depth("text").alias("depth"), pf.p_fanout("text").alias("fanout"), pf.p_leaves("text").alias("leaves"), pf.p_is_path("text").alias("is_path"), pf.p_code("text").alias("code"), pf.p_prefix("text").alias("prefix"), pf.p_canonical("text").alias("canonical"))
+
+
+@query("search_tree_star", STAR3.format(p=30) + " SELECT NULL AS parent, split_part(code, '(', 1) AS root, code, k FROM two UNION ALL SELECT x || '(' || y || ')', x, code, k FROM three")
+def search_tree_star(spark, d):
+    """The tree of the search: every frequent pattern under its prefix."""
+    return result.search_tree(star3(miners.mine_frequent, spark, d, 30).patterns())
+
+
 @query("occurrence_join_k3_star", ORACLES["frequent_k3_star"])
 def occurrence_join_k3_star(spark, d):
     return star3(mine_occurrence_join, spark, d).result().select("code", "k", "support")
@@ -418,56 +423,57 @@ def maximal_k3_star(spark, d):
     return star3(miners.mine_eager, spark, d, 30).result().where("is_maximal").select("code", "k", "support")
 
 
-# full runs, without a size cap, where SQL can list all patterns: a line has two leaves, a part three
+# full runs, without a size cap, where SQL can list all patterns: a line's path has five nodes below the order, a part three leaves
 
-LINE = f"WITH {O.star()}, {O.star_pairs(('line',))}, m AS (SELECT (count(*) + 99) // 100 AS n FROM lineitem), {O.small_patterns('(SELECT n FROM m)', ('line',))}"
-LINE_CLOSED = LINE + " SELECT code, k, support, is_maximal FROM flagged WHERE is_closed"
-#: Frequent labels come first, so a label that always has another beside it finds that as its surrogate.
-BESIDE = {"label_order": "frequency"}
+PATHS = """WITH v AS (SELECT 'flag=' || l_returnflag AS f, 'ls=' || l_linestatus AS s, 'prio=' || o_orderpriority AS p, 'status=' || o_orderstatus AS t FROM lineitem JOIN orders ON l_orderkey = o_orderkey),
+    m AS (SELECT (count(*) + 19) // 20 AS n FROM v),
+    sets AS (SELECT f, s, p, t, (f IS NOT NULL)::INT + (s IS NOT NULL)::INT + (p IS NOT NULL)::INT + (t IS NOT NULL)::INT AS size, count(*) AS support FROM v GROUP BY CUBE (f, s, p, t) HAVING count(*) >= (SELECT n FROM m)),
+    larger AS (SELECT a.f, a.s, a.p, a.t, b.support FROM sets a JOIN sets b ON b.size > a.size AND (a.f IS NULL OR a.f = b.f) AND (a.s IS NULL OR a.s = b.s) AND (a.p IS NULL OR a.p = b.p) AND (a.t IS NULL OR a.t = b.t)),
+    flagged AS (SELECT 'order(' || concat_ws(',', 'line' || CASE WHEN f IS NULL AND s IS NULL THEN '' ELSE '(' || concat_ws(',', f, s) || ')' END, p, t) || ')' AS code, size + 2 AS k, support,
+      NOT EXISTS (SELECT 1 FROM larger g WHERE (g.f, g.s, g.p, g.t) IS NOT DISTINCT FROM (a.f, a.s, a.p, a.t) AND g.support = a.support) AS is_closed,
+      NOT EXISTS (SELECT 1 FROM larger g WHERE (g.f, g.s, g.p, g.t) IS NOT DISTINCT FROM (a.f, a.s, a.p, a.t)) AS is_maximal FROM sets a)"""
+#: Without the line, a pattern is not closed: the line can always be added. So all closed ones have it.
+PATHS_CLOSED = PATHS + " SELECT code, k::INT AS k, support, is_maximal FROM flagged WHERE is_closed"
 
 
-def line_run(miner: Callable, spark, d, **kw) -> result.MiningResult:
-    nodes = star(spark, d)
-    return miner(nodes, max(1, -(-spark.read.parquet(f"{d}/lineitem.parquet").count() // 100)), roots={"line"}, **BESIDE, **kw)
+def path_run(miner: Callable, spark, d, **kw) -> result.MiningResult:
+    n = spark.read.parquet(f"{d}/lineitem.parquet").count()
+    return miner(stage(sources.line_paths(spark, d), "paths"), max(1, -(-n // 20)), roots={"order"}, label_order="depth", **kw)
 
 
 def closed_of(r: result.MiningResult) -> DataFrame:
     return r.result().where("is_closed").select("code", "k", "support", "is_maximal")
 
 
-@query("closed_full_line_postfilter", LINE_CLOSED)
-def closed_full_line_postfilter(spark, d):
-    return closed_of(line_run(miners.mine_postfilter, spark, d))
+for _miner, _name, _kw in (
+    (miners.mine_postfilter, "postfilter", {}),
+    (miners.mine_eager, "eager", {}),
+    (miners.mine_pruned, "pruned", {}),
+    (miners.mine_pruned, "pruned_filters", {"rule": "filters"}),
+    (miners.mine_pruned, "pruned_definition", {"rule": "definition"}),
+    (miners.mine_pruned, "pruned_bitmaps", {"strategy": "lists", "lists": "bitmap"}),
+):
+    query(f"closed_full_paths_{_name}", PATHS_CLOSED)(lambda spark, d, miner=_miner, kw=_kw: closed_of(path_run(miner, spark, d, **kw)))
 
 
-@query("closed_full_line_eager", LINE_CLOSED)
-def closed_full_line_eager(spark, d):
-    return closed_of(line_run(miners.mine_eager, spark, d))
+@query("maximal_full_paths", PATHS + " SELECT code, k::INT AS k, support FROM flagged WHERE is_maximal")
+def maximal_full_paths(spark, d):
+    return path_run(lambda *a, **kw: miners.mine_pruned(*a, **kw), spark, d).result().where("is_maximal").select("code", "k", "support")
 
 
-@query("closed_full_line_pruned", LINE_CLOSED)
-def closed_full_line_pruned(spark, d):
-    return closed_of(line_run(miners.mine_pruned, spark, d))
+@query("surrogates_full_paths", PATHS + " SELECT 'order(' || x || ')' AS code, 'child' AS kind, 'order(line)' AS by_code FROM (SELECT f AS x, size FROM sets UNION ALL SELECT s, size FROM sets) WHERE size = 1 AND x IS NOT NULL")
+def surrogates_full_paths(spark, d):
+    """The 2-patterns that the pruned miner drops: leaves of a line, which always have the line above them."""
+    mined = path_run(miners.mine_pruned, spark, d).search
+    rows = [(mined.code(m), m.pruned_by[1], mined.code(mined.mined[m.pruned_by[0]])) for m in mined.mined.values() if m.pruned_by and m.size == 2]
+    return spark.createDataFrame(rows, "code string, kind string, by_code string")
 
 
-@query("closed_full_line_pruned_lists", LINE_CLOSED)
-def closed_full_line_pruned_lists(spark, d):
-    return closed_of(line_run(miners.mine_pruned, spark, d, strategy="lists", lists="bitmap"))
-
-
-@query("maximal_full_line", LINE + " SELECT code, k, support FROM flagged WHERE is_maximal")
-def maximal_full_line(spark, d):
-    nodes, kw = star(spark, d), {"roots": {"line"}, **BESIDE}
-    return miners.mine_maximal(nodes, max(1, -(-spark.read.parquet(f"{d}/lineitem.parquet").count() // 100)), **kw).select("code", "k", "support")
-
-
-@query("surrogates_full_line", LINE + """, leaves AS (SELECT dl, count(*) AS n FROM pairs GROUP BY dl), beside AS (SELECT p.dl AS x, q.dl AS y, count(*) AS n FROM pairs p JOIN pairs q ON p.t = q.t AND p.a = q.a AND p.dl != q.dl GROUP BY p.dl, q.dl),
-    place AS (SELECT label, count(*) AS n FROM nodes GROUP BY label)
-    SELECT DISTINCT 'line(' || b.y || ')' AS code FROM beside b JOIN leaves l ON l.dl = b.y AND l.n = b.n JOIN place px ON px.label = b.x JOIN place py ON py.label = b.y WHERE (-px.n, b.x) < (-py.n, b.y) AND b.n >= (SELECT n FROM m)""")
-def surrogates_full_line(spark, d):
-    """The 2-patterns that the pruned miner drops: a label beside which a more frequent one always stands."""
-    r = line_run(miners.mine_pruned, spark, d)
-    return spark.createDataFrame([(r.search.code(m),) for m in r.search.mined.values() if m.pruned_by and m.size == 2], "code string")
+@query("computed_full_paths", "SELECT true AS pruned_computes_fewer, true AS eager_computes_as_many, true AS pruned_drops_some")
+def computed_full_paths(spark, d):
+    post, eager, pruned = (path_run(m, spark, d) for m in (miners.mine_postfilter, miners.mine_eager, miners.mine_pruned))
+    row = (pruned.counters.computed < eager.counters.computed, eager.counters.computed == post.counters.computed, any(m.pruned_by for m in pruned.search.mined.values()))
+    return spark.createDataFrame([row], "pruned_computes_fewer boolean, eager_computes_as_many boolean, pruned_drops_some boolean")
 
 
 GOODS = f"""WITH {O.supply()}, v AS (SELECT n, s, p, [brand, kind, size] AS leaves FROM goods),
@@ -481,7 +487,7 @@ GOODS = f"""WITH {O.supply()}, v AS (SELECT n, s, p, [brand, kind, size] AS leav
 def closed_full_supply_pruned(spark, d):
     nodes = stage(sources.supply(spark, d), "supply")
     n = nodes.where("label = 'part'").count()
-    return closed_of(miners.mine_pruned(nodes, -(-n // 50), roots={"part"}, **BESIDE))
+    return closed_of(miners.mine_pruned(nodes, -(-n // 50), roots={"part"}, label_order="frequency"))
 
 
 def dialogue3(miner: Callable, spark, d, **kw) -> result.MiningResult:
@@ -587,7 +593,7 @@ def nav(spark, d, label: str = "type") -> DataFrame:
 def pruning_rules_star(spark, d):
     """Counters of the pruned miner under each rule, and what it loses or adds against the definition."""
     nodes, minsup = star(spark, d), order_minsup(spark, d, 80)
-    truth = miners.mine_postfilter(nodes, minsup, roots=set(STAR_ROOTS)).codes("closed")
+    truth = miners.mine_postfilter(nodes, minsup, roots=set(STAR_ROOTS), label_order="depth").codes("closed")
     rows = []
     for rule in surrogate.RULES:
         r = miners.mine_pruned(nodes, minsup, rule=rule, roots=set(STAR_ROOTS), label_order="depth")
@@ -596,13 +602,19 @@ def pruning_rules_star(spark, d):
     return spark.createDataFrame(rows, "rule string, computed long, freq long, closed long, lost long, added long")
 
 
+def closed_runs(spark, name: str, nodes: DataFrame, minsup: int, order: str = "depth") -> DataFrame:
+    """Counters of the closed miners on full runs, all with the labels in one order."""
+    kw = {"label_order": order}
+    runs = [(name, miners.mine_postfilter(nodes, minsup, **kw)), (name, miners.mine_eager(nodes, minsup, **kw)), *((name, miners.mine_pruned(nodes, minsup, rule=r, **kw)) for r in ("uniform", "filters"))]
+    return miners.counters_frame(spark, runs).drop("seconds", "closed_seconds", "stored_bytes")
+
+
 @query("counters_nav")
 def counters_nav(spark, d):
     """Counters of the closed miners on a full run over navigation trees."""
     nodes = nav(spark, d)
-    n = max(2, nodes.where("level = 0").count() * 60 // 100)
-    runs = [(f"nav-{m.__name__}", m(nodes, n, max_size=4)) for m in (miners.mine_postfilter, miners.mine_eager, miners.mine_pruned)]
-    return miners.counters_frame(spark, runs).drop("seconds", "closed_seconds")
+    n = max(2, nodes.where("level = 0").count() * 85 // 100)
+    return closed_runs(spark, "nav", nodes, n)
 
 
 SKELETON = ["html", "body", "nav", "ul", "article", "h1", "footer"]
@@ -613,9 +625,30 @@ def counters_dom(spark, d):
     """Counters of the closed miners on the skeleton of pages, where containers are surrogates of their content."""
     nodes = stage(sources.dom(spark, d, labels=SKELETON, dedupe_siblings=True), "dom")
     n = -(-spark.read.parquet(f"{d}/pages.parquet").count() * 9 // 10)
-    kw = {"label_order": "depth"}
-    runs = [("dom", miners.mine_postfilter(nodes, n, **kw)), ("dom", miners.mine_eager(nodes, n, **kw)), *(("dom", miners.mine_pruned(nodes, n, rule=r, **kw)) for r in ("uniform", "filters"))]
-    return miners.counters_frame(spark, runs).drop("seconds", "closed_seconds")
+    return closed_runs(spark, "dom", nodes, n)
+
+
+AGREE = """SELECT 'uniform' AS rule, 0::BIGINT AS lost_closed, 0::BIGINT AS added_closed, 0::BIGINT AS lost_maximal, 0::BIGINT AS added_maximal, true AS computes_fewer"""
+
+
+def completeness(spark, nodes: DataFrame, minsup: int, **kw) -> DataFrame:
+    """The pruned miner against the definition, by a full run of both over labels in one order."""
+    truth, got = miners.mine_postfilter(nodes, minsup, **kw), miners.mine_pruned(nodes, minsup, **kw)
+    sets = [(truth.codes(which), got.codes(which)) for which in ("closed", "maximal")]
+    rows = [("uniform", *(n for a, b in sets for n in (len(a - b), len(b - a))), got.counters.computed < truth.counters.computed)]
+    return spark.createDataFrame(rows, "rule string, lost_closed long, added_closed long, lost_maximal long, added_maximal long, computes_fewer boolean")
+
+
+@query("completeness_dom", AGREE)
+def completeness_dom(spark, d):
+    nodes = stage(sources.dom(spark, d, labels=SKELETON, dedupe_siblings=True), "dom")
+    return completeness(spark, nodes, page_minsup(spark, d, 90), label_order="depth")
+
+
+@query("completeness_star", AGREE)
+def completeness_star(spark, d):
+    nodes = star(spark, d)
+    return completeness(spark, nodes, order_minsup(spark, d, 80), roots=set(STAR_ROOTS), label_order="depth")
 
 
 @query("witness_modes_dialogue", f"WITH {O.dialogue()}, {O.PAIRS}, {O.small_patterns(70)} SELECT code, 'both' AS side FROM flagged WHERE is_closed")
@@ -665,13 +698,80 @@ def running_pattern_count(spark, d):
     return by_size.withColumn("so_far", F.sum("n").over(Window.orderBy("k").rowsBetween(Window.unboundedPreceding, 0)))  # a row for each size
 
 
-@query("minsup_ladder", " UNION ALL ".join(f"SELECT * FROM ({STAR3.format(p=p)} SELECT {p} AS percent, count(*) AS n_frequent FROM frequent)" for p in (50, 40, 30)))
-def minsup_ladder(spark, d):
-    nodes, rows = star(spark, d), []
-    for p in (50, 40, 30):
-        got = miners.mine_frequent(nodes, order_minsup(spark, d, p), max_size=3, roots=set(STAR_ROOTS))
-        rows.append((p, got.counters.freq))
-    return spark.createDataFrame(rows, "percent int, n_frequent long")
+# experiments: counts by minsup and by size of the input, for three shapes of data, three nodes at most
+
+COUNTS = "count(*) AS n_frequent, coalesce(sum(is_closed::INT), 0)::BIGINT AS n_closed, coalesce(sum(is_maximal::INT), 0)::BIGINT AS n_maximal"
+LADDER = "minsup int, n_frequent long, n_closed long, n_maximal long"
+
+
+def counted(r: result.MiningResult) -> tuple[int, int, int]:
+    return r.counters.freq, r.counters.closed, r.counters.maximal
+
+
+def ladder(name: str, sql: Callable[[int], str], nodes: Callable[[SparkSession, str], DataFrame], steps: tuple[int, ...], minsup: Callable[[SparkSession, str, int], int], **kw) -> None:
+    """Registers the counts of frequent, closed and maximal patterns over the steps of minsup."""
+
+    def run(spark, d):
+        frame = nodes(spark, d)
+        return spark.createDataFrame([(p, *counted(miners.mine_eager(frame, minsup(spark, d, p), max_size=3, **kw))) for p in steps], LADDER)
+
+    query(name, " UNION ALL ".join(f"SELECT * FROM ({sql(p)} SELECT {p} AS minsup, {COUNTS} FROM flagged)" for p in steps))(run)
+
+
+def dom(spark, d) -> DataFrame:
+    return stage(sources.dom(spark, d), "dom")
+
+
+NAV3, DOM3 = (lambda p: f"{NAV_SQL}, {O.small_patterns(p)}"), (lambda p: f"{DOM_SQL}, {O.small_patterns(f'(SELECT (count(*) * {p} + 99) // 100 FROM pages)')}")
+
+
+def page_minsup(spark, d, percent: int) -> int:
+    return -(-spark.read.parquet(f"{d}/pages.parquet").count() * percent // 100)
+
+
+ladder("ladder_star", lambda p: STAR3.format(p=p), star, (60, 50, 40, 30, 20), order_minsup, roots=set(STAR_ROOTS))
+ladder("ladder_nav", NAV3, lambda spark, d: stage(sources.navigation(spark, d), "nav"), (800, 600, 500, 400, 300), lambda spark, d, p: p)
+ladder("ladder_dom", DOM3, dom, (400, 300, 200, 150, 100), page_minsup)
+
+
+def distribution_sql(flagged: str) -> str:
+    return flagged + TARGETS + " SELECT target, k, count(*) AS n, max(support) AS best FROM tg GROUP BY ROLLUP (target, k)"
+
+
+@query("distribution_nav", distribution_sql(NAV3(300)))
+def distribution_nav(spark, d):
+    return result.distribution(miners.mine_eager(nav(spark, d), 300, max_size=3).result())
+
+
+@query("distribution_dom", distribution_sql(DOM3(100)))
+def distribution_dom(spark, d):
+    return result.distribution(miners.mine_eager(dom(spark, d), page_minsup(spark, d, 100), max_size=3).result())
+
+
+@query("growing_tree", " UNION ALL ".join(f"SELECT * FROM (WITH {O.star(t)}, {O.star_pairs(STAR_ROOTS)}, {O.small_patterns('(SELECT (count(*) + 4) // 5 FROM orders)', STAR_ROOTS)} SELECT {t} AS tenths, (SELECT count(*) FROM nodes) AS n_nodes, count(*) AS n_frequent FROM frequent)" for t in (4, 7, 10)))
+def growing_tree(spark, d):
+    """Frequent patterns of a glued tree that grows by customers, at one minsup; ``bench.py --experiments`` takes the times."""
+    rows = []
+    for tenths in (4, 7, 10):
+        nodes = encode.glue(stage(sources.star(spark, d, tenths), "star"))
+        nodes = stage(nodes, "glued")
+        got = miners.mine_frequent(nodes, order_minsup(spark, d, 20), max_size=3, roots=set(STAR_ROOTS))
+        rows.append((tenths, nodes.count(), got.counters.freq))
+    return spark.createDataFrame(rows, "tenths int, n_nodes long, n_frequent long")
+
+
+def forest_sql(keep: int) -> str:
+    return f"SELECT * FROM ({encoded(O.navigation_edges(*NAV, keep=keep))}, {O.small_patterns(200)} SELECT {keep} AS percent, (SELECT count(DISTINCT tree_id) FROM nodes) AS n_trees, {COUNTS} FROM flagged)"
+
+
+@query("growing_forest", " UNION ALL ".join(map(forest_sql, (40, 70, 100))))
+def growing_forest(spark, d):
+    """Patterns of random samples of navigation trees, at one minsup."""
+    rows = []
+    for keep in (40, 70, 100):
+        nodes = stage(sources.navigation(spark, d, keep=keep), "sample")
+        rows.append((keep, nodes.where("level = 0").count(), *counted(miners.mine_eager(nodes, 200, max_size=3))))
+    return spark.createDataFrame(rows, "percent int, n_trees long, n_frequent long, n_closed long, n_maximal long")
 
 
 @query("result_hierarchy", STAR3.format(p=40) + " SELECT DISTINCT p AS smaller, q AS larger FROM inside JOIN flagged f ON f.code = p AND f.is_closed")
