@@ -199,6 +199,12 @@ def similar(docs: DataFrame, pairs: DataFrame, parts: DataFrame, size: int) -> D
     return both.where(F.size(F.array_intersect("sa", "sb")) * (NUM + DEN) >= NUM * (F.size("sa") + F.size("sb"))).select("a", "b")
 
 
+def without(shared: DataFrame, found: DataFrame) -> DataFrame:
+    """Lists whose members in ``found`` are settled; those without an open member are left out."""
+    marked = shared.join(found.withColumn("found", F.lit(True)), "id", "left").select("key", "id", "n", (F.col("open") & F.col("found").isNull()).alias("open"))
+    return marked.join(marked.where("open").select("key").distinct(), "key", "left_semi")
+
+
 def repeats(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
     """``docs(id, text as bytes)`` to the ids that are similar to a smaller id.
 
@@ -209,12 +215,15 @@ def repeats(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
     shared, gone, parts = stage(members(docs, size).withColumn("open", F.lit(True)), "members"), None, quarters(docs, size)
     while True:
         pivot = stage(shared.groupBy("key").agg(F.min(F.struct("id", "n")).alias("p")).select("key", F.col("p.id").alias("a"), F.col("p.n").alias("m")), "pivots")
-        found = stage(similar(docs, fitting(shared, pivot), parts, size).select(F.col("b").alias("id")).distinct(), "repeats")
-        gone = found if gone is None else gone.union(found)
+        pairs = fitting(shared, pivot)
+        if gone is None:  # lists of one group have many pivots: the smallest that a document meets settles most of it
+            gone = stage(similar(docs, pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), parts, size).select(F.col("b").alias("id")).distinct(), "repeats")
+            shared, pairs = stage(without(shared, gone), "members"), stage(pairs.join(gone.withColumnRenamed("id", "b"), "b", "left_anti").select("a", "b"), "candidates")
+        found = stage(similar(docs, pairs, parts, size).select(F.col("b").alias("id")).distinct(), "repeats")
+        gone = gone.union(found)
         dropped, held = found.count(), shared.where("open").select("id").distinct().count()
         # a pivot has met the rest of its list
-        rest = shared.join(pivot.select("key", "a"), "key").where("id > a").join(found.withColumn("found", F.lit(True)), "id", "left")
-        shared = stage(rest.select("key", "id", "n", (F.col("open") & F.col("found").isNull()).alias("open")), "members")
+        shared = stage(without(shared.join(pivot.select("key", "a"), "key").where("id > a"), found), "members")
         if dropped * WORTH <= held:
             break
     rest = similar(docs, fitting(shared, shared.select("key", F.col("id").alias("a"), F.col("n").alias("m"))), parts, size).select(F.col("b").alias("id"))
