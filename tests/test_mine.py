@@ -3,7 +3,7 @@ import random
 import pytest
 
 from canopy.forest.encode import from_patterns, glue
-from canopy.mine import closed, miners, result
+from canopy.mine import closed, measure, miners, result
 from canopy.mine.engine import TooMany
 from canopy.mine.induced import mine_induced
 from canopy.mine.lists import mine_lists
@@ -158,6 +158,46 @@ def test_reading_results(made, tmp_path):
     assert result.to_dot(["A(b)"]).startswith("digraph")
 
 
+@pytest.mark.parametrize("lists", ["rows", "bitmap"])
+def test_list_strategy_against_brute_force(made, lists):
+    """Siblings that may meet on a path, recursive labels, and pruning, without stored occurrences."""
+    text = "A(b(c),b(b(c)),d); A(b(c),d)"
+    want, kw = brute.mine(text, 2), {"strategy": "lists", "lists": lists}
+    eager = miners.mine_eager(made(text), 2, **kw)
+    assert flags(eager) == want and eager.counters.stored_bytes > 0
+    pruned = miners.mine_pruned(made(text), 2, **kw)
+    assert pruned.codes("closed") == eager.codes("closed") and pruned.codes("maximal") == eager.codes("maximal")
+    got = eager.occurrence_lists().count() if not eager.search.options.compress else 0
+    assert got == 0 and pruned.counters.computed <= eager.counters.computed
+
+
+def test_lists_hold_no_occurrences(made):
+    """Ten equal siblings have ninety pairs, but ten images for each node."""
+    nodes = made("A(" + ",".join("B" * 10) + ")")
+    tuples, lists = (miners.mine_frequent(nodes, 1, max_size=3, strategy=s) for s in ("tuples", "lists"))
+    assert flags(tuples).keys() == flags(lists).keys() == {"A(B)", "A(B,B)"}
+    assert tuples.counters.occ_rows == 100 and lists.counters.occ_rows == 11 + 21
+
+
+def test_strategies_are_checked(made):
+    with pytest.raises(ValueError):
+        miners.mine_frequent(made("A(B)"), 1, strategy="trees")
+    with pytest.raises(ValueError):
+        miners.mine_frequent(made("A(B)"), 1, strategy="lists", support="occurrence")
+    with pytest.raises(ValueError):
+        miners.mine_pruned(made("A(B)"), 1, max_size=3)
+    assert miners.mine_pruned(made("A(B)"), 1, max_size=3, allow_boundary=True).codes() == {"A(B)"}
+
+
+def test_measures(spark, made):
+    measure.reset_peak(spark)
+    rows = [measure.row("w", m(made(LOST_COUSIN), 2), measure.peak_mb(spark)) for m in (miners.mine_eager, miners.mine_pruned)]
+    assert rows[0]["peak_mb"] > 0 and rows[0]["computed"] >= rows[1]["computed"]
+    (ratio,) = measure.ratios(rows, "pruned-uniform")
+    assert ratio["miner"] == "eager" and ratio["computed"] >= 1
+    assert measure.frame(spark, rows).count() == 2
+
+
 def test_empty_forest(spark):
     nodes = from_patterns(spark, []).cache()
     for m in (miners.mine_postfilter, miners.mine_eager, miners.mine_pruned):
