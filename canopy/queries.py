@@ -329,11 +329,6 @@ def bitmap_unpack(spark, d):
     return occlist.unpack(bits, orders, ["flag"]).groupBy("flag").agg(F.count(F.lit(1)).alias("n"))
 
 
-def values(columns: list[str], rows: list[tuple]) -> str:
-    text = ", ".join("(" + ", ".join(repr(v) if isinstance(v, str) else str(v).lower() if isinstance(v, bool) else str(v) for v in r) + ")" for r in rows)
-    return f"SELECT * FROM (VALUES {text}) v({', '.join(columns)})"
-
-
 # miners inside the universe of patterns of three nodes at most
 
 STAR3 = f"WITH {O.star()}, {O.star_pairs(STAR_ROOTS)}, m AS (SELECT (count(*) * {{p}} + 99) // 100 AS n FROM orders), {O.small_patterns('(SELECT n FROM m)', STAR_ROOTS)}"
