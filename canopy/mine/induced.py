@@ -25,8 +25,9 @@ def mine_induced(nodes: DataFrame, minsup: float, **kw) -> MiningResult:
     search = Search(nodes, options(nodes, minsup, kw))
     document = search.options.support == "document"
     # parent label and child label of frequent edges (by images of the parent, or trees)
+    nodes = search.nodes
     up = nodes.select("tree_id", F.col("begin").alias("parent"), F.col("label").alias("up"))
-    edges = stage(nodes.where("parent IS NOT NULL").select("tree_id", "parent", "label", F.col("begin").alias("d")).join(up, ["tree_id", "parent"]), "edges")
+    edges = stage(nodes.where("parent IS NOT NULL").select("tree_id", "parent", "label", F.col("begin").alias("d"), "w").join(up, ["tree_id", "parent"]), "edges")
     key = ["tree_id"] if document else ["tree_id", "parent"]
     counts = edges.groupBy("up", "label", *key).agg(F.lit(1).alias("one")).groupBy("up", "label").agg(F.count(F.lit(1)).alias("n")).collect()
     kinds = sorted((r["up"], r["label"]) for r in counts)
@@ -46,7 +47,7 @@ def mine_induced(nodes: DataFrame, minsup: float, **kw) -> MiningResult:
     if not rows:
         return finished(search, "induced")
     table = F.broadcast(search.spark.createDataFrame(rows, "pattern_id long, up string, label string"))
-    occ = stage(edges.join(table, ["up", "label"]).select("pattern_id", "tree_id", F.array("parent", "d").alias("img"), F.lit(1).cast("long").alias("w")), "induced2")
+    occ = stage(edges.join(table, ["up", "label"]).select("pattern_id", "tree_id", F.array("parent", "d").alias("img"), "w"), "induced2")
     frequent, size, most = search.evaluated(2, seeds, occ), 2, search.options.max_size
     while frequent and (most is None or size < most):
         rows, new = [], []
