@@ -4,7 +4,10 @@ Two sets of distinct shingles have Jaccard similarity 4/5 or more only if they
 share ceil(4n/5) of the n shingles of either. With one order for all sets, the
 first n - ceil(4n/5) + 1 shingles of both then have one in common, so postings
 of these prefixes miss no pair. Any order is exact; shingles that are common
-in a sample of the documents come last in it, which keeps the lists short.
+in a sample of the documents come last in it, which keeps the lists short. From
+their first common shingle on, similar sets still have enough shingles to share;
+pairs for which a key comes too late in one of them do not meet there. So copies
+that differ by more than a ninth or so share lists without forming pairs.
 
 A document goes if a smaller id is similar, so one such id settles it. Lists are
 first checked against their smallest member, round by round, which settles groups
@@ -35,7 +38,7 @@ WORTH = 20
 MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
 #: Postings packed at once by a task; bytes of text whose postings share a bucket.
 PACK, BUCKET_BYTES = 1 << 19, 1 << 26
-PACKED = pa.schema([("bucket", pa.int64()), *((c, pa.binary()) for c in ("keys", "ids", "n", "place"))])
+PACKED = pa.schema([("bucket", pa.int64()), *((c, pa.binary()) for c in ("keys", "ids", "n", "place", "pos"))])
 
 
 def shingles(text: bytes, size: int = SHINGLE) -> np.ndarray:
@@ -86,10 +89,11 @@ def common_shingles(docs: DataFrame, size: int) -> tuple[np.ndarray, np.ndarray]
 
 
 def postings(docs: DataFrame, size: int) -> DataFrame:
-    """``(bucket, keys, ids, n, place)``: postings of every prefix, dealt by key to buckets and packed there.
+    """``(bucket, keys, ids, n, place, pos)``: postings of every prefix, dealt by key to buckets and packed there.
 
     A row holds what some documents of one task put into one bucket: the keys, for each key the place of its document
-    in ``ids``, and the documents' numbers of shingles. So a posting takes ten bytes on its way, not a whole row.
+    in ``ids`` and its own place in that document's order (65,535 if later), and the documents' numbers of shingles. So
+    a posting takes twelve bytes on its way, not a whole row.
     """
     order = Shared(docs.sparkSession, common_shingles(docs, size))
     words = docs.agg(F.sum(F.octet_length("text")).alias("n")).first()["n"] or 0
@@ -102,14 +106,15 @@ def postings(docs: DataFrame, size: int) -> DataFrame:
         def packed() -> pa.RecordBatch:
             lengths = [len(k) for k in keys]
             every, place = np.concatenate(keys).view(np.uint64), np.repeat(np.arange(len(ids), dtype=np.uint16), lengths)
+            pos = np.concatenate([np.minimum(np.arange(k), 0xFFFF) for k in lengths]).astype(np.uint16)
             dealt = (every >> np.uint64(20)) % np.uint64(buckets)
             by = np.argsort(dealt, kind="stable")
-            every, place, dealt = every[by], place[by], dealt[by].astype(np.int64)
+            every, place, pos, dealt = every[by], place[by], pos[by], dealt[by].astype(np.int64)
             starts = np.flatnonzero(np.concatenate([[True], dealt[1:] != dealt[:-1]]))
             rows, own, n = [], np.array(ids, np.int64), np.array(sizes, np.int32)
             for start, stop in zip(starts.tolist(), [*starts[1:].tolist(), len(every)]):
                 docs_here, at = np.unique(place[start:stop], return_inverse=True)
-                rows.append((int(dealt[start]), every[start:stop].tobytes(), own[docs_here].tobytes(), n[docs_here].tobytes(), at.astype(np.uint16).tobytes()))
+                rows.append((int(dealt[start]), every[start:stop].tobytes(), own[docs_here].tobytes(), n[docs_here].tobytes(), at.astype(np.uint16).tobytes(), pos[start:stop].tobytes()))
             return to_batch(rows, PACKED)
 
         for batch in batches:
@@ -128,34 +133,43 @@ def postings(docs: DataFrame, size: int) -> DataFrame:
         if ids:
             yield packed()
 
-    return docs.select("id", "text").mapInArrow(run, "bucket long, keys binary, ids binary, n binary, place binary")
+    return docs.select("id", "text").mapInArrow(run, "bucket long, keys binary, ids binary, n binary, place binary, pos binary")
 
 
 def members(docs: DataFrame, size: int) -> DataFrame:
-    """``(key, id, n)`` of the keys that two or more ids have in their prefixes."""
-    out = pa.schema([("key", pa.int64()), ("id", pa.int64()), ("n", pa.int32())])
+    """``(key, id, n, reach)`` of the keys that two or more ids have in their prefixes.
+
+    ``reach`` is how many shingles the document has from the key on, at most.
+    """
+    out = pa.schema([("key", pa.int64()), ("id", pa.int64()), ("n", pa.int32()), ("reach", pa.int32())])
 
     def shared(bucket: pa.Table) -> pa.Table:
-        keys, ids, sizes = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int32)]
-        for k, i, n, place in zip(*(bucket.column(c).to_pylist() for c in ("keys", "ids", "n", "place"))):
+        keys, ids, sizes, reaches = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int32)], [np.zeros(0, np.int32)]
+        for k, i, n, place, pos in zip(*(bucket.column(c).to_pylist() for c in ("keys", "ids", "n", "place", "pos"))):
             at = np.frombuffer(place, np.uint16)
             keys.append(np.frombuffer(k, np.int64))
             ids.append(np.frombuffer(i, np.int64)[at])
             sizes.append(np.frombuffer(n, np.int32)[at])
-        key, own, n = np.concatenate(keys), np.concatenate(ids), np.concatenate(sizes)
+            reaches.append(sizes[-1] - np.frombuffer(pos, np.uint16).astype(np.int32))
+        key, own, n, reach = map(np.concatenate, (keys, ids, sizes, reaches))
         order = np.argsort(key, kind="stable")
-        key, own, n = key[order], own[order], n[order]
+        key, own, n, reach = key[order], own[order], n[order], reach[order]
         first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
         several = np.minimum.reduceat(own, first) != np.maximum.reduceat(own, first) if len(first) else np.zeros(0, bool)
         keep = np.repeat(several, np.diff(first, append=len(key)))
-        return pa.table([key[keep], own[keep], n[keep]], schema=out)
+        return pa.table([key[keep], own[keep], n[keep], reach[keep]], schema=out)
 
-    return postings(docs, size).groupBy("bucket").applyInArrow(shared, "key long, id long, n int")
+    return postings(docs, size).groupBy("bucket").applyInArrow(shared, "key long, id long, n int, reach int")
 
 
 def fitting(open_: DataFrame, others: DataFrame) -> DataFrame:
-    """Pairs ``(a, b)``, a < b and b open, that share a key and whose sizes allow similarity; ``others(key, a, m)``."""
-    both = open_.where("open").join(others, "key").where((F.col("a") < F.col("id")) & (F.least("n", "m") * DEN >= NUM * F.greatest("n", "m")))
+    """Pairs ``(a, b)``, a < b and b open, that share a key and may be similar; ``others(key, a, m, ahead)``.
+
+    Their sizes must allow it, and so must what both have from the key on: at the first shingle in common, similar sets do.
+    """
+    sizes = F.least("n", "m") * DEN >= NUM * F.greatest("n", "m")
+    enough = F.least("reach", "ahead") * (NUM + DEN) >= NUM * (F.col("n") + F.col("m"))
+    both = open_.where("open").join(others, "key").where((F.col("a") < F.col("id")) & sizes & enough)
     return stage(both.select("a", F.col("id").alias("b")).distinct(), "candidates")
 
 
@@ -201,7 +215,7 @@ def similar(docs: DataFrame, pairs: DataFrame, parts: DataFrame, size: int) -> D
 
 def without(shared: DataFrame, found: DataFrame) -> DataFrame:
     """Lists whose members in ``found`` are settled; those without an open member are left out."""
-    marked = shared.join(found.withColumn("found", F.lit(True)), "id", "left").select("key", "id", "n", (F.col("open") & F.col("found").isNull()).alias("open"))
+    marked = shared.join(found.withColumn("found", F.lit(True)), "id", "left").select("key", "id", "n", "reach", (F.col("open") & F.col("found").isNull()).alias("open"))
     return marked.join(marked.where("open").select("key").distinct(), "key", "left_semi")
 
 
@@ -214,7 +228,7 @@ def repeats(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
     docs = docs.where("id IS NOT NULL")
     shared, gone, parts = stage(members(docs, size).withColumn("open", F.lit(True)), "members"), None, quarters(docs, size)
     while True:
-        pivot = stage(shared.groupBy("key").agg(F.min(F.struct("id", "n")).alias("p")).select("key", F.col("p.id").alias("a"), F.col("p.n").alias("m")), "pivots")
+        pivot = stage(shared.groupBy("key").agg(F.min(F.struct("id", "n", "reach")).alias("p")).select("key", F.col("p.id").alias("a"), F.col("p.n").alias("m"), F.col("p.reach").alias("ahead")), "pivots")
         pairs = fitting(shared, pivot)
         if gone is None:  # lists of one group have many pivots: the smallest that a document meets settles most of it
             gone = stage(similar(docs, pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), parts, size).select(F.col("b").alias("id")).distinct(), "repeats")
@@ -226,7 +240,7 @@ def repeats(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
         shared = stage(without(shared.join(pivot.select("key", "a"), "key").where("id > a"), found), "members")
         if dropped * WORTH <= held:
             break
-    rest = similar(docs, fitting(shared, shared.select("key", F.col("id").alias("a"), F.col("n").alias("m"))), parts, size).select(F.col("b").alias("id"))
+    rest = similar(docs, fitting(shared, shared.select("key", F.col("id").alias("a"), F.col("n").alias("m"), F.col("reach").alias("ahead"))), parts, size).select(F.col("b").alias("id"))
     return stage(gone.union(rest).distinct(), "repeats")
 
 

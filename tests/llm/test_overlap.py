@@ -47,3 +47,26 @@ def test_stage_leaves_no_near_copies(spark):
     for docs in (spark.createDataFrame(rows, "doc_id long, text string"), spark.read.parquet(f"{SF}/documents.parquet")):
         kept = corpus_pipeline.near_duplicates(spark, docs, SF).collect()
         assert kept and not plain_repeats([(r["doc_id"], r["text"]) for r in kept])
+
+
+def test_distant_copies_of_one_group_form_no_pairs(spark, monkeypatch):
+    """Texts that each changed a seventh of a common one share keys; all their pairs were candidates."""
+    rng = random.Random(7)
+    base = [f"w{k}" for k in range(400)]
+    rows = []
+    for k in range(120):
+        text = list(base)
+        for at in rng.sample(range(0, 400, 6), rng.randint(11, 13)):
+            text[at] = f"x{k}-{at}"
+        rows.append((k, " ".join(text)))
+    rows += [(120 + k, f"{rows[k][1]} end") for k in range(0, 120, 10)]
+    asked, similar = [], overlap.similar
+
+    def counted(docs, pairs, parts, size):
+        asked.append(pairs.count())
+        return similar(docs, pairs, parts, size)
+
+    monkeypatch.setattr(overlap, "similar", counted)
+    found = overlap.similar_to_smaller(spark.createDataFrame(rows, "doc_id long, text string"))
+    assert {r["doc_id"] for r in found.collect()} == plain_repeats(rows) == set(range(120, 240, 10))
+    assert sum(asked) < 5 * len(rows)
