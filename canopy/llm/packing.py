@@ -64,16 +64,25 @@ class WordIds(dict):
     joined are the ids of the text. A stem of plain letters is one unit of the
     tokenizer's model and is given to it as such. Anything unusual, such as a
     possible special token, is tokenized as it stands; so are whole texts with
-    control characters that only Python takes for white space.
+    control characters that only Python takes for white space. Texts of plain
+    letters without special tokens are lower-cased at once, so a word has one
+    entry, however it is written.
     """
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.unit, self.letters = self.tokenizer.model.tokenize, byte_letters()
+        model = self.tokenizer.model
+        if hasattr(model, "_resize_cache"):  # a word is asked for once, so the model's own cache only costs time
+            model._resize_cache(0)
+        self.unit, self.letters = model.tokenize, byte_letters()
 
     def __missing__(self, word: str) -> bytes:
+        if word.isalpha() and word.isascii() and word.islower():
+            found = [t.id for t in self.unit(word)]
+            self[word] = ids = struct.pack(f"<{len(found)}H", *found)
+            return ids
         stem = word.rstrip(SIGNS)
         if not stem or "<|" in word or not stem[-1].isalnum() or not (stem.isascii() or PLAIN.fullmatch(stem)):
             ids = self.whole(word)
@@ -98,6 +107,8 @@ class WordIds(dict):
             self.clear()
         if "\x1c" in text or "\x1d" in text or "\x1e" in text or "\x1f" in text:
             return self.whole(text)
+        if "<|" not in text and (text.isascii() or PLAIN.fullmatch(text)):
+            text = text.lower()
         return b"".join(map(self.__getitem__, text.split()))
 
 

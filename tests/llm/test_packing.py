@@ -65,6 +65,15 @@ def test_word_cache_equals_the_tokenizer():
         assert words.of(text) == words.whole(text), repr(text)
 
 
+def test_a_word_has_one_entry_in_any_case():
+    """Every way to write a word had an entry of its own, which was tokenized again once the cache was full."""
+    words = packing.WordIds(packing.default_tokenizer())
+    text = "Straße STRASSE straße, STRAßE Élan élan ÉLAN it's IT'S"
+    assert words.of(text) == words.whole(text) and {w for w in words if w.isalpha()} == {"straße", "strasse", "élan"}
+    for odd in ("<|ENDOFTEXT|> A", "A<|endoftext|>B", "İ Ŀ ŉ Ÿ A"):
+        assert words.of(odd) == words.whole(odd)
+
+
 def test_cache_may_be_cleared(monkeypatch):
     monkeypatch.setattr(packing, "CACHE", 3)
     words = packing.WordIds(packing.default_tokenizer())
